@@ -1,8 +1,8 @@
 """Registered queries and oracle SQL of the corpus operators."""
 
-from . import jaccard_join
+from . import jaccard_join, suffix_dedup
 
-_MODULES = (jaccard_join,)
+_MODULES = (jaccard_join, suffix_dedup)
 
 QUERIES = {k: v for m in _MODULES for k, v in m.QUERIES.items()}
 SQL = {k: v for m in _MODULES for k, v in getattr(m, "SQL", {}).items()}
