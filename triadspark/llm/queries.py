@@ -1,8 +1,8 @@
 """Registered queries and oracle SQL of the corpus operators."""
 
-from . import jaccard_join, suffix_dedup, token_counts, token_file
+from . import bpe_sql, decontamination, jaccard_join, suffix_dedup, token_counts, token_file
 
-_MODULES = (token_file, suffix_dedup, token_counts, jaccard_join)
+_MODULES = (token_file, suffix_dedup, token_counts, bpe_sql, jaccard_join, decontamination)
 
 QUERIES = {k: v for m in _MODULES for k, v in m.QUERIES.items()}
 SQL = {k: v for m in _MODULES for k, v in getattr(m, "SQL", {}).items()}
