@@ -8,7 +8,7 @@ from __future__ import annotations
 
 import sys
 import types
-from itertools import chain
+from itertools import chain, compress
 
 import numpy as np
 
@@ -18,6 +18,10 @@ def worker_state() -> types.ModuleType:
     return sys.modules.setdefault("_chunk_cache_of_worker", types.ModuleType("_chunk_cache_of_worker"))
 
 
+#: chunks that are encoded in one go
+RUN = 500
+
+
 class _Known(dict):
     """-2 for what isn't known yet."""
 
@@ -28,7 +32,7 @@ class _Known(dict):
 class ChunkCache:
     """Chunk -> ids.  `many` encodes a list of strings to lists of ids; at most `limit` chunks are kept."""
 
-    def __init__(self, many, limit: int = 1_000_000, line: int | None = None):
+    def __init__(self, many, limit: int = 1_380_000, line: int | None = None):
         self.many, self.limit, self.line = many, limit, line
         self.reset()
 
@@ -39,6 +43,7 @@ class ChunkCache:
         self.start = np.zeros(1 << 18, np.int64)
         self.size = np.zeros(1 << 18, np.int64)
         self.n = self.used = 0
+        self.end: int | None = None
 
     def _put(self, rows: list[list[int]]) -> range:
         flat = np.fromiter(chain.from_iterable(rows), np.int32)
@@ -62,19 +67,20 @@ class ChunkCache:
         one id (`line`) that nothing else in such chunks has."""
         if self.line is None:
             return list(self._put(self.many([" " + p for p in words])))
-        plain = [i for i, p in enumerate(words) if len(p.split(None, 1)) == 1]
+        simple = np.fromiter(map(str.isprintable, words), bool, len(words))  # no printable character but the space is white space
+        plain = list(compress(words, simple))
         out = np.full(len(words), -1, np.int64)
-        got = self.many(["\n".join([" " + words[i] for i in plain[k : k + 4000]]) for k in range(0, len(plain), 4000)])
-        flat = np.fromiter(chain.from_iterable(chain(r, (self.line,)) for r in got), np.int32)
+        got = self.many([" " + "\n ".join(plain[k : k + RUN]) + "\n" for k in range(0, len(plain), RUN)])
+        flat = np.concatenate([np.array(r, np.int32) for r in got]) if got else np.zeros(0, np.int32)
         cuts = np.flatnonzero(flat == self.line)
         if len(cuts) == len(plain):
-            out[plain] = self._put_flat(np.delete(flat, cuts), np.diff(cuts, prepend=-1) - 1)
+            out[simple] = self._put_flat(np.delete(flat, cuts), np.diff(cuts, prepend=-1) - 1)
         rest = np.flatnonzero(out < 0)
         out[rest] = self._put(self.many([" " + words[i] for i in rest]))
         return out.tolist()
 
-    def chunks(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        """Chunk numbers of all texts, and how many each text has."""
+    def chunks(self, texts: list[str], end_id: int | None = None) -> tuple[np.ndarray, np.ndarray]:
+        """Chunk numbers of all texts, and how many each text has; with an end_id, a last chunk of that id alone."""
         if self.n > self.limit:
             self.reset()
         split = [t.split(" ") for t in texts]
@@ -83,9 +89,9 @@ class ChunkCache:
         miss = np.flatnonzero(found == -2)
         if len(miss):
             lost = [rest[i] for i in miss]
-            new = set(lost)
-            unsafe = {p for p in new if not p or p[0].isspace() or p[-1].isspace()}
-            good = list(new - unsafe)
+            good, unsafe = [], []
+            for p in dict.fromkeys(lost):
+                (unsafe if not p or p[0].isspace() or p[-1].isspace() else good).append(p)
             self.at.update(zip(good, self._put_cut(good), strict=True))
             self.at.update(dict.fromkeys(unsafe, -1))
             found[miss] = np.fromiter(map(self.at.__getitem__, lost), np.int64, len(lost))
@@ -108,15 +114,24 @@ class ChunkCache:
             out[(ends - counts)[who]] = whole
             out = out[keep]
             counts[who] = 1
+        if end_id is not None:
+            if self.end != end_id:
+                self.end, self.end_at = end_id, self._put([[end_id]])[0]
+            last = np.cumsum(counts + 1) - 1
+            longer = np.full(len(out) + len(counts), self.end_at, np.int64)
+            mask = np.ones(len(longer), bool)
+            mask[last] = False
+            longer[mask] = out
+            return longer, counts + 1
         return out, counts
 
     def gather(self, chunk: np.ndarray) -> np.ndarray:
         size = self.size[chunk]
         return self.ids[np.repeat(self.start[chunk] - (np.cumsum(size) - size), size) + np.arange(size.sum())]
 
-    def encode(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    def encode(self, texts: list[str], end_id: int | None = None) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all texts in one array, and the number each has."""
-        chunk, counts = self.chunks(texts)
+        chunk, counts = self.chunks(texts, end_id)
         sums = np.concatenate(([0], np.cumsum(self.size[chunk])))
         ends = np.cumsum(counts)
         return self.gather(chunk), sums[ends] - sums[ends - counts]

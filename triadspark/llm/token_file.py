@@ -38,7 +38,9 @@ def pack_levels(ids: np.ndarray) -> tuple[list[bytes], list[bytes], list[bytes]]
         chunks.append(rest.astype(np.uint8).tobytes())
         packed = np.packbits(go_on, bitorder="little")
         bits.append(packed.tobytes())
-        per = np.add.reduceat(go_on, np.arange(0, len(go_on), BLOCK)) if len(go_on) else np.zeros(0, np.int64)
+        words = np.zeros(-(-len(packed) // (BLOCK // 8)) * (BLOCK // 64), "<u8")
+        words.view(np.uint8)[: len(packed)] = packed
+        per = np.bitwise_count(words).reshape(-1, BLOCK // 64).sum(axis=1, dtype=np.int64)
         ranks.append((np.cumsum(per) - per).astype("<u4").tobytes())
         if not go_on.any():
             return chunks, bits, ranks
@@ -47,16 +49,11 @@ def pack_levels(ids: np.ndarray) -> tuple[list[bytes], list[bytes], list[bytes]]
 
 def unpack_levels(chunks: list[bytes], bits: list[bytes]) -> np.ndarray:
     """All ids of a segment."""
-    at = None
-    out = np.zeros(len(chunks[0]), np.uint32)
-    for level, (c, b) in enumerate(zip(chunks, bits, strict=True)):
-        x = np.frombuffer(c, np.uint8).astype(np.uint32) << np.uint32(8 * level)
-        if at is None:
-            out |= x
-            at = np.arange(len(out))
-        else:
-            out[at] |= x
-        at = at[np.unpackbits(np.frombuffer(b, np.uint8), count=len(x), bitorder="little").astype(bool)]
+    out = np.frombuffer(chunks[0], np.uint8).astype(np.uint32)
+    at = np.flatnonzero(np.unpackbits(np.frombuffer(bits[0], np.uint8), count=len(out), bitorder="little").view(bool))
+    for level in range(1, len(chunks)):
+        out[at] |= np.frombuffer(chunks[level], np.uint8).astype(np.uint32) << np.uint32(8 * level)
+        at = at[np.unpackbits(np.frombuffer(bits[level], np.uint8), count=len(at), bitorder="little").view(bool)]
     return out
 
 
@@ -91,10 +88,7 @@ def _encode(path: str, end_id: int | None, segment_bytes: int):
         part, seq = TaskContext.get().partitionId(), 0
         for batch in batches:
             for t in pieces(batch, "text", segment_bytes):
-                ids, counts = library_cache(path).encode(t["text"].fill_null("").to_pylist())
-                if end_id is not None:
-                    ids = np.insert(ids, np.cumsum(counts), end_id)
-                    counts = counts + 1
+                ids, counts = library_cache(path).encode(t["text"].fill_null("").to_pylist(), end_id)
                 levels = pack_levels(ids)
                 yield pa.RecordBatch.from_arrays(
                     [pa.array([part], pa.int32()), pa.array([seq], pa.int32()), pa.array([len(ids)], pa.int64()), pa.array([t["doc_id"].to_pylist()], pa.list_(pa.int64())), pa.array([counts.astype("<i8").tobytes()], pa.binary()),
@@ -104,7 +98,7 @@ def _encode(path: str, end_id: int | None, segment_bytes: int):
     return run
 
 
-def write_tokens(docs: DataFrame, tokenizer: str, path: str, end_id: int | None = 2, part_bytes: int = 8 << 20, segment_bytes: int = 1 << 20) -> str:
+def write_tokens(docs: DataFrame, tokenizer: str, path: str, end_id: int | None = 2, part_bytes: int = 8 << 20, segment_bytes: int = 3 << 20) -> str:
     """Encodes all texts and writes the file at `path` (a folder that all executors share)."""
     docs = slim(docs)
     ranged = docs.repartitionByRange(parts(docs, part_bytes), "doc_id").sortWithinPartitions("doc_id", "text")
