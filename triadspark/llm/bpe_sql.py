@@ -60,6 +60,7 @@ class SqlBpe:
         # token bytes as characters 256..511, one a byte, so that texts aggregate as strings
         vocab = pa.table({"id": np.array(list(self.rank.values()), np.int32), "piece": ["".join(chr(256 + x) for x in t) for t in self.rank]})  # noqa: F841
         self.db.execute("create table vocab as select * from vocab")
+        self.names = [str(i) for i in range(max(self.rank.values(), default=0) + 1)]
         self.cache = ChunkCache(self.chunk_ids, limit=800_000)
 
     def _arrow(self, query: str) -> pa.Table:
@@ -81,10 +82,17 @@ class SqlBpe:
 
     def chunk_ids(self, chunks: list[str], step: int = 40_000) -> list[list[int]]:
         split = [[w.encode() for w in self.split(c)] for c in chunks]
-        distinct = list(dict.fromkeys(w for ws in split for w in ws))
-        known: dict[bytes, list[int]] = {}
-        for i in range(0, len(distinct), step):
-            known.update(zip(distinct[i : i + step], self.words(distinct[i : i + step]), strict=True))
+        held, known, fresh = self.cache, {}, []
+        for w in dict.fromkeys(w for ws in split for w in ws):
+            k = held.at.get(w[1:].decode(), -1) if w[:1] == b" " and len(w) > 1 else -1
+            if k >= 0:  # a chunk of one word, seen before
+                known[w] = held.ids[held.start[k] : held.start[k] + held.size[k]].tolist()
+            else:
+                fresh.append(w)
+        for i in range(0, len(fresh), step):
+            known.update(zip(fresh[i : i + step], self.words(fresh[i : i + step]), strict=True))
+        keep = [w for w in fresh if w[:1] == b" " and len(w) > 1]
+        held.at.update(zip([w[1:].decode() for w in keep], held._put([known[w] for w in keep]), strict=True))
         return [[x for w in ws for x in known[w]] for ws in split]
 
     def decode(self, ids: np.ndarray, counts: np.ndarray) -> list[bytes]:
@@ -114,7 +122,7 @@ def _round_trip(path: str, pattern: str, full: bool):
                 bpe = sql_bpe(path, pattern)
                 ids, counts = bpe.cache.encode(t["text"].fill_null("").to_pylist())
                 ends = np.cumsum(counts)
-                digits = list(map(str, ids.tolist()))
+                digits = list(map(bpe.names.__getitem__, ids.tolist()))
                 sha = [hashlib.sha256(",".join(digits[s:e]).encode()).hexdigest() for s, e in zip(ends - counts, ends, strict=True)]
                 back = bpe.decode(ids, counts)
                 cols = [t["doc_id"].combine_chunks(), pa.array(counts), pa.array(sha), pa.array([hashlib.sha256(x).hexdigest() for x in back])]

@@ -438,6 +438,7 @@ def _apply(width: int, with_text: bool):
         out["kept_sha256"] = pa.array([hashlib.sha256(x).hexdigest() for x in seen["kept"]], pa.string())
         if with_text:
             out["kept"] = pa.array(seen["kept"], pa.binary())
+            out["kept_text"] = pa.array([x.decode("utf-8", "ignore") for x in seen["kept"]], pa.string())
         return pa.table(out)
 
     return run
@@ -446,7 +447,7 @@ def _apply(width: int, with_text: bool):
 # ---------------------------------------------------------------- the operator
 
 def suffix_dedup(docs: DataFrame, width: int = 50, with_text: bool = False, block_bytes: int = 2 << 20, hot_blocks: int = 256) -> DataFrame:
-    """doc_id, n_bytes, n_removed, n_spans, kept_sha256 (and kept: the bytes left) of every row of docs.
+    """doc_id, n_bytes, n_removed, n_spans, kept_sha256 (and kept: the bytes left; kept_text: their whole characters) of every row of docs.
 
     width: bytes of a string that counts as repeated, from GRAM+1 to GRAM+32."""
     if not GRAM < width <= GRAM + 31:
@@ -457,7 +458,7 @@ def suffix_dedup(docs: DataFrame, width: int = 50, with_text: bool = False, bloc
     marks = blocks.groupBy("block").applyInArrow(_anchors(width, n), _ANCHORS).groupBy("bucket").applyInArrow(_shared(hot_blocks), _SHARED)
     cut = blocks.groupBy("block").cogroup(marks.groupBy("block")).applyInArrow(_cut(width, n), _SEGMENTS)
     told = cut.groupBy("bucket").applyInArrow(_judge(width), _MARKS)
-    out = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", kept binary" * with_text
+    out = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", kept binary, kept_text string" * with_text
     return blocks.groupBy("block").cogroup(told.groupBy("block")).applyInArrow(_apply(width, with_text), out)
 
 

@@ -14,7 +14,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import slim, table
+from .common import slim, stored, table
 from .encoding import library_cache
 from .textkernel import pieces
 
@@ -74,7 +74,7 @@ def totals_at(hist: DataFrame, limits: list[int]) -> DataFrame:
 def op5_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
-    return context_answers(length_histogram(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json")))
+    return context_answers(stored(length_histogram(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json")), "length-histogram"))
 
 
 QUERIES = {"op5_token_counts": op5_token_counts}
