@@ -15,6 +15,7 @@ from __future__ import annotations
 
 import base64
 import hashlib
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -53,7 +54,7 @@ class SqlBpe:
             self.rank = {base64.b64decode(a): int(b) for a, b in (line.split() for line in f if line.strip())}
         triples = [(self.rank[t[:i]], self.rank[t[i:]], r) for t, r in self.rank.items() for i in range(1, len(t)) if t[:i] in self.rank and t[i:] in self.rank]
         self.single = np.array([self.rank.get(bytes([b]), -1) for b in range(256)], np.int32)
-        self.db = duckdb.connect(":memory:", config={"threads": 1, "memory_limit": "300MB"})
+        self.db = duckdb.connect(":memory:", config={"threads": 1, "memory_limit": "400MB"})
         a, b, m = (np.array(x, np.int32) for x in zip(*triples, strict=True)) if triples else (np.zeros(0, np.int32),) * 3
         merges = pa.table({"a": a, "b": b, "merged": m})  # noqa: F841
         self.db.execute("create table merges as select * from merges")
@@ -61,7 +62,7 @@ class SqlBpe:
         vocab = pa.table({"id": np.array(list(self.rank.values()), np.int32), "piece": ["".join(chr(256 + x) for x in t) for t in self.rank]})  # noqa: F841
         self.db.execute("create table vocab as select * from vocab")
         self.names = [str(i) for i in range(max(self.rank.values(), default=0) + 1)]
-        self.cache = ChunkCache(self.chunk_ids, limit=800_000)
+        self.cache = ChunkCache(self.chunk_ids, limit=1_000_000)
 
     def _arrow(self, query: str) -> pa.Table:
         return self.db.sql(query).to_arrow_table()
@@ -81,19 +82,20 @@ class SqlBpe:
         return out
 
     def chunk_ids(self, chunks: list[str], step: int = 40_000) -> list[list[int]]:
-        split = [[w.encode() for w in self.split(c)] for c in chunks]
-        held, known, fresh = self.cache, {}, []
-        for w in dict.fromkeys(w for ws in split for w in ws):
-            k = held.at.get(w[1:].decode(), -1) if w[:1] == b" " and len(w) > 1 else -1
+        split = list(map(self.split, chunks))
+        held, known, fresh, own = self.cache, {}, [], set(chunks)
+        for w in dict.fromkeys(chain.from_iterable(split)):
+            k = held.at[w[1:]] if w[0] == " " and len(w) > 1 and w not in own else -1
             if k >= 0:  # a chunk of one word, seen before
                 known[w] = held.ids[held.start[k] : held.start[k] + held.size[k]].tolist()
             else:
                 fresh.append(w)
-        for i in range(0, len(fresh), step):
-            known.update(zip(fresh[i : i + step], self.words(fresh[i : i + step]), strict=True))
-        keep = [w for w in fresh if w[:1] == b" " and len(w) > 1]
-        held.at.update(zip([w[1:].decode() for w in keep], held._put([known[w] for w in keep]), strict=True))
-        return [[x for w in ws for x in known[w]] for ws in split]
+        raw = [w.encode() for w in fresh]
+        for i in range(0, len(raw), step):
+            known.update(zip(fresh[i : i + step], self.words(raw[i : i + step]), strict=True))
+        keep = [w for w in fresh if w[0] == " " and len(w) > 1 and w not in own]
+        held.at.update(zip([w[1:] for w in keep], held._put([known[w] for w in keep]), strict=True))
+        return [known[ws[0]] if len(ws) == 1 else [x for w in ws for x in known[w]] for ws in split]
 
     def decode(self, ids: np.ndarray, counts: np.ndarray) -> list[bytes]:
         """Bytes of each run of ids."""
@@ -118,7 +120,7 @@ def sql_bpe(path: str, pattern: str) -> SqlBpe:
 def _round_trip(path: str, pattern: str, full: bool):
     def run(batches):
         for batch in batches:
-            for t in pieces(batch, "text", 3 << 20):
+            for t in pieces(batch, "text", 6 << 20):
                 bpe = sql_bpe(path, pattern)
                 ids, counts = bpe.cache.encode(t["text"].fill_null("").to_pylist())
                 ends = np.cumsum(counts)
