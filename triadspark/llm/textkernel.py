@@ -6,6 +6,7 @@ Everything here works on one Arrow batch: texts become one padded byte array plu
 
 from __future__ import annotations
 
+import sys
 from collections.abc import Iterator
 
 import numpy as np
@@ -39,7 +40,13 @@ def mix(x: np.ndarray) -> np.ndarray:
 
 
 def text_bytes(column: pa.Array | pa.ChunkedArray) -> tuple[np.ndarray, np.ndarray]:
-    """(bytes with PAD zeros behind, offsets) of a string or binary column; null counts as empty."""
+    """(bytes with PAD zeros behind, offsets) of a string or binary column; null counts as empty.
+
+    A worker that does this has gone over to another operator: what encoders kept there is let go."""
+    held = sys.modules.get("_chunk_cache_of_worker")
+    if held is not None:
+        for name in [k for k in vars(held) if ":" in k]:
+            delattr(held, name)
     if isinstance(column, pa.ChunkedArray):
         column = column.combine_chunks()
     if isinstance(column, pa.ChunkedArray):
