@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from ..functions.codes import CLOSED, FOLD, LABELS, canonical, flip_dir, fold_code, triad_code, triad_total, type_label, unpack_id
 from .graph import Digraph, both_ways, degrees, packed_adjacency, relabel
+from .layout import weighted_units
 
 BIG = "decimal(38,0)"
 
@@ -34,15 +35,17 @@ def triangles(g: Digraph) -> DataFrame:
     return w.join(g.dyads.withColumnsRenamed({"lo": "x", "hi": "y"}), [*g.keys, "x", "y"]).select(*g.keys, "t", "x", "y", triad_code(F.col("cx"), F.col("cy"), F.col("dir")).alias("code"))
 
 
-def census_scalable(g: Digraph) -> DataFrame:
-    """Only triangles are enumerated; open, dyadic and null triads follow from degrees."""
+def census_scalable(g: Digraph, closed: DataFrame | None = None) -> DataFrame:
+    """Only triangles are enumerated; open, dyadic and null triads follow from degrees.  closed(keys, no, c): their counts from elsewhere."""
     k = g.keys
+    if closed is None:
+        closed = triangles(g).groupBy(*k, fold_code(F.col("code")).alias("no")).agg(F.count("*").alias("c"))
     one = F.lit(1).cast("decimal(20,0)")
     a, b, m, d = (F.col(c).cast("decimal(18,0)") for c in "abmd")
     half = lambda x: F.sum((x * (x - one) / 2).cast(BIG))
     sums = degrees(g).groupBy(*k).agg(half(a).alias("D"), half(b).alias("U"), F.sum(a * b).alias("C"), F.sum(m * b).alias("MI"), F.sum(m * a).alias("MO"), half(m).alias("MM"), F.sum(d * (a + b)).alias("DA"), F.sum(d * m).alias("DM"))
     pairs = g.dyads.groupBy(*k).agg(F.count_if(F.col("dir") < 3).alias("PA"), F.count_if(F.col("dir") == 3).alias("PM"))
-    closed = triangles(g).groupBy(*k, fold_code(F.col("code")).alias("no")).agg(F.count("*").alias("c")).groupBy(*k).agg(*(F.sum(F.when(F.col("no") == LABELS.index(x) + 1, F.col("c"))).alias(f"T{x}") for x in CLOSED))
+    closed = closed.groupBy(*k).agg(*(F.sum(F.when(F.col("no") == LABELS.index(x) + 1, F.col("c"))).alias(f"T{x}") for x in CLOSED))
     if k:
         wide = g.sizes.join(sums, k, "left").join(pairs, k, "left").join(closed, k, "left")
     else:
@@ -147,7 +150,7 @@ def _merge_kernel(batches):
 
 
 def census_edge_driven(g: Digraph, union: str = "join", slots: int = 64, balance: str = "collapsed", parts: int | None = None) -> DataFrame:
-    """union: set (explicit union array), merge (sorted runs in a kernel), join (relational).  balance: outer or collapsed task units."""
+    """union: set (explicit union array), merge (sorted runs in a kernel), join (relational).  balance: outer, collapsed or weighted task units."""
     if union == "join":
         t = connected_triads(g)
         conn = t.select("u", "v", fold_code(F.col("code")).alias("triad_no"), F.lit(1).cast("long").alias("c"))
@@ -160,7 +163,10 @@ def census_edge_driven(g: Digraph, union: str = "join", slots: int = 64, balance
     else:
         n = parts or int(g.dyads.sparkSession.conf.get("spark.sql.shuffle.partitions"))
         x = _with_runs(g).crossJoin(F.broadcast(g.sizes)).select("lo", "hi", "dir", "pu", "pv", "n")
-        x = x.repartition(n, "lo") if balance == "outer" else x.repartition(n, "lo", "hi")
+        if balance == "weighted":
+            x = weighted_units(x, n, ["lo"], "hi", F.size("pu") + F.size("pv")).repartitionById(n, "unit").drop("unit")
+        else:
+            x = x.repartition(n, "lo") if balance == "outer" else x.repartition(n, "lo", "hi")
         rows = x.mapInArrow(_merge_kernel, "u long, v long, triad_no int, c long")
     return _finish(g, accumulate(rows, slots=slots))
 
@@ -181,14 +187,22 @@ def census_matrix(g: Digraph) -> DataFrame:
     prod = (e.select(F.col("i"), F.col("j").alias("k"), F.col("c").alias("x")).join(e.select(F.col("i").alias("k"), "j", F.col("c").alias("y")), "k").where("i <> j")
             .groupBy("i", "j", "x", "y").agg(F.count("*").alias("p")).join(e.withColumnRenamed("c", "z"), ["i", "j"], "left"))
     tot = prod.groupBy(F.concat("x", "y", F.coalesce("z", F.lit("Z"))).alias("k")).agg(F.sum("p").cast("long").alias("p"))
+    return matrix_counts(g, tot)
+
+
+def matrix_counts(g: Digraph, tot: DataFrame) -> DataFrame:
+    """Census from tot(k, p): paths i-j-l summed by their two classes and the class of (i, l), Z where not adjacent."""
     wide = tot.groupBy().pivot("k", [x + y + z for x in "CRM" for y in "CRM" for z in "CRMZ"]).agg(F.sum("p"))
     q = lambda c: F.coalesce(F.col(c), F.lit(0)).cast(BIG)
     f = {"021D": q("RCZ") / 2, "021U": q("CRZ") / 2, "021C": q("CCZ"), "111D": q("MRZ"), "111U": q("MCZ"), "201": q("MMZ") / 2, "030T": q("CCC"), "030C": q("CCR") / 3,
          "120D": q("RCM") / 2, "120U": q("CRM") / 2, "120C": q("CCM"), "210": q("MMC"), "300": q("MMM") / 6}
+    # common neighbours of asymmetric and of mutual pairs, summed
+    f["012"] = sum((q(x + y + "C") for x in "CRM" for y in "CRM"), F.lit(0).cast(BIG))
+    f["102"] = sum((q(x + y + "M") for x in "CRM" for y in "CRM"), F.lit(0).cast(BIG)) / 2
     rows = wide.select(F.explode(F.array(*(F.struct(F.lit(LABELS.index(x) + 1).alias("triad_no"), v.cast(BIG).alias("c")) for x, v in f.items()))).alias("r")).select("r.*")
     ends = degrees(g).select("id", "d")
-    common = prod.where("z is not null and i < j").groupBy(F.col("i").alias("lo"), F.col("j").alias("hi")).agg(F.sum("p").alias("common"))
-    dy = dyadic_counts(g, ends, common).groupBy("triad_no").agg(F.sum("c").cast(BIG).alias("c"))
+    apart = g.dyads.join(ends.toDF("lo", "dl"), "lo").join(ends.toDF("hi", "dh"), "hi").crossJoin(F.broadcast(g.sizes))
+    dy = apart.groupBy(F.when(F.col("dir") == 3, 3).otherwise(2).alias("triad_no")).agg(F.sum(F.col("n") - F.col("dl") - F.col("dh")).cast(BIG).alias("c"))
     return _finish(g, rows.unionByName(dy))
 
 

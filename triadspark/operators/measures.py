@@ -82,3 +82,29 @@ def schedule_makespan(work: list[int], cores: int, policy: str, chunk: int = 1)
     return span, sums[-1] / (cores * span) if span else 1.0
 
 
+def crossover(runs: DataFrame, a: str, b: str) -> DataFrame:
+    """(workload, cores): the smallest core count from which method b is faster than a, where it was not at the count before."""
+    w = Window.partitionBy("workload").orderBy("cores")
+    x = runs.where(F.col("method").isin(a, b)).groupBy("workload", "cores").pivot("method", [a, b]).agg(F.min("seconds"))
+    x = x.withColumn("ahead", F.col(b) < F.col(a)).withColumn("was", F.coalesce(F.lag("ahead").over(w), F.lit(False)))
+    return x.where("ahead and not was").groupBy("workload").agg(F.min("cores").alias("cores"))
+
+
+def graph_profile(g: Digraph) -> DataFrame:
+    """(n, arcs, pairs, mutual, isolated, max_degree) of a graph without keys."""
+    d = degrees(g).agg(F.count("*").alias("touched"), F.max("d").alias("max_degree"))
+    p = g.dyads.agg(F.count("*").alias("pairs"), F.count_if(F.col("dir") == 3).alias("mutual"))
+    x = g.sizes.crossJoin(F.broadcast(d)).crossJoin(F.broadcast(p))
+    return x.select("n", (F.col("pairs") + F.col("mutual")).alias("arcs"), "pairs", "mutual", (F.col("n") - F.col("touched")).alias("isolated"), F.coalesce("max_degree", F.lit(0)).alias("max_degree"))
+
+
+def compactness(g: Digraph) -> DataFrame:
+    """(layout, bytes_per_pair): one packed long an end against an id and a separate direction byte, list heads included."""
+    x = g.dyads.agg(F.count("*").alias("p")).crossJoin(F.broadcast(degrees(g).agg(F.count("*").alias("v"))))
+    rows = F.array(*(F.struct(F.lit(k).alias("layout"), F.round((F.col("p") * 2 * w + F.col("v") * 12) / F.col("p"), 6).alias("bytes_per_pair")) for k, w in (("packed", 8), ("separate", 9), ("two arc lists", 16))))
+    return x.where("p > 0").select(F.explode(rows).alias("r")).select("r.*")
+
+
+def schedule_table(chunks: dict[str, list[int]], cores: int) -> list[tuple[str, int, float]]:
+    """(policy, makespan, efficiency) of chunk works handed out in order to the earliest free core."""
+    return [(policy, *schedule_makespan(work, cores, "dynamic", 1)) for policy, work in chunks.items()]

@@ -65,3 +65,15 @@ def alerts(scores: DataFrame, threshold: float = 3.0, min_history: int = 5, comb
 
 def census_wide(series: DataFrame) -> DataFrame:
     return series.groupBy("win_start").pivot("triad_type", LABELS).agg(F.first("n_triads"))
+
+
+def top_movers(drift: DataFrame, k: int = 10) -> DataFrame:
+    """The k largest changes of share between neighbouring intervals."""
+    return drift.where("change is not null").select("win_start", "triad_type", "change").orderBy(F.desc(F.abs("change")), "win_start", "triad_type").limit(k)
+
+
+def census_ratios(series: DataFrame, pairs: list[tuple[str, str]]) -> DataFrame:
+    """(win_start, above, below, ratio) of two types' counts; null where the lower count is 0."""
+    wide = census_wide(series)
+    cells = [F.struct(F.lit(a).alias("above"), F.lit(b).alias("below"), F.when(F.col(f"`{b}`") > 0, F.round(F.col(f"`{a}`").cast("double") / F.col(f"`{b}`").cast("double"), 6)).alias("ratio")) for a, b in pairs]
+    return wide.select("win_start", F.explode(F.array(*cells)).alias("r")).select("win_start", "r.*")

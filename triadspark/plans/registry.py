@@ -36,13 +36,13 @@ _FOLD = "(values " + ", ".join(f"({c}, {FOLD[c]})" for c in range(64)) + ") as f
 _LABEL = "(values " + ", ".join(f"({i + 1}, '{x}')" for i, x in enumerate(LABELS)) + ") as lab(no, triad_type)"
 
 
-def wedge_sql(arcs: str, vertices: str, before: str = "", key: str = "", fixed_n: bool = True, states: bool = False) -> str:
-    """Census by all wedges; key: a further column of arcs that every step is grouped by."""
+def wedge_sql(arcs: str, vertices: str, before: str = "", key: str = "", fixed_n: bool = True, sizes: str = "") -> str:
+    """Census by all wedges; key: a further column of arcs that every step is grouped by; sizes: SQL of (key, n)."""
     k, ks, on = (f"{key}, ", f"s.{key}, ", f" and s.{key} = r.{key}") if key else ("", "", "")
     ond = f" and d.{key} = s.{key}" if key else ""
     using = f"using ({key})" if key else "on true"
     n = f"nn as (select {key}, count(*) as n from (select {key}, src as id from a where true union select {key}, dst from a) group by 1)" if key and not fixed_n else (f"nn as (select {key}, (select count(*) from v) as n from (select distinct {key} from a0))" if key else "nn as (select count(*) as n from v)")
-    kg = f"{key}, " if key else ""
+    n = f"nn as ({sizes})" if sizes else n
     tail = f"""cells as (select {k}no, sum(c) as c from (select {k}no, count(*) as c from codes join fold using (code) group by {k}no union all select {k}no, sum(c) from dy group by {k}no) group by {k}no),
 full_ as (select {k}nn.n, lab.no, lab.triad_type from nn, lab),
 r16 as (select {('full_.' + key + ', ') if key else ''}full_.n, full_.no, triad_type, coalesce(c, 0) as c from full_ left join cells on cells.no = full_.no{f' and cells.{key} = full_.{key}' if key else ''})

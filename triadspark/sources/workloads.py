@@ -19,9 +19,14 @@ def read_arcs(spark: SparkSession, path: str, fmt: str = "csv", sep: str = "\t",
 
 
 def random_digraph(spark: SparkSession, n: int, m: int, exponent: float | None = None, seed: int = 42) -> DataFrame:
-    """m arcs over n ids; with an exponent, senders follow a power law by inverse distribution function."""
+    """m arcs over n ids; with an exponent (above 1, not 2), out-degrees follow that power law: the sender of rank r is drawn with weight
+    r^(-1/(exponent-1)), by inverse distribution function."""
     u = F.rand(seed)
-    src = F.floor(u * n) if exponent is None else F.least(F.lit(n - 1), F.floor(F.pow(1 - u, F.lit(-1.0 / (exponent - 1))) - 1))
+    if exponent is None:
+        src = F.floor(u * n)
+    else:
+        t = 1 - 1 / (exponent - 1)
+        src = F.least(F.lit(n - 1), F.floor(F.pow(u * ((n + 1) ** t - 1) + 1, F.lit(1 / t))) - 1)
     return spark.range(m).select(src.cast("long").alias("src"), F.floor(F.rand(seed + 1) * n).cast("long").alias("dst"))
 
 
@@ -104,3 +109,45 @@ def nation_graph(spark, d) -> Digraph:
     back = f.select(F.col("i").alias("j"), F.col("j").alias("i"), F.col("q").alias("r"))
     arcs = f.join(back, ["i", "j"], "left").where("i <> j and q > 0 and q >= coalesce(r, 0)").select(F.col("i").alias("src"), F.col("j").alias("dst"))
     return as_digraph(arcs, load(spark, d, "nation").select(F.col("n_nationkey").cast("long").alias("id")))
+
+
+def region_graph(spark, d) -> Digraph:
+    """The social graph restricted to the customers of each region, one graph a region."""
+    home = load(spark, d, "customer").join(load(spark, d, "nation"), F.col("c_nationkey") == F.col("n_nationkey")).select(F.col("n_regionkey").cast("long").alias("region"), F.col("c_custkey").alias("id"))
+    a = social_arcs(spark, d).join(home.toDF("region", "src"), "src").join(home.toDF("region", "dst"), ["region", "dst"])
+    return as_digraph(a.select("region", "src", "dst"), home, ["region"])
+
+
+def _nearest(k: int):
+    """Best k of each left vector against one packed block of right vectors."""
+    import numpy as np
+    import pyarrow as pa
+
+    def run(batches):
+        for batch in batches:
+            for r in batch.to_pylist():
+                unit = []
+                for c in ("va", "vb"):
+                    m = np.array(r[c], np.float64)
+                    unit.append(m / np.maximum(np.linalg.norm(m, axis=1, keepdims=True), 1e-300))
+                ia, ib = np.array(r["ia"]), np.array(r["ib"])
+                cos = np.round(unit[0] @ unit[1].T, 9)
+                cos[ia[:, None] == ib[None, :]] = -2
+                for row, i in zip(cos, ia, strict=True):
+                    best = [j for j in np.lexsort((ib, -row))[:k] if row[j] > -2]
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(best), i)), pa.array(ib[best]), pa.array(row[best])], names=["src", "dst", "cos"])
+
+    return run
+
+
+def knn_arcs(spark, d, k: int = 5, rows: int = 512) -> DataFrame:
+    """vector to its k most similar by cosine, exact: blocks of vectors meet blocks, each meeting keeps k a vector; ties by id."""
+    v = load(spark, d, "embeddings").where("vec_id is not null and embedding is not null").select(F.col("vec_id").alias("id"), F.col("embedding").alias("v"))
+    b = v.groupBy(F.floor(F.col("id") / rows).alias("b")).agg(F.collect_list("id").alias("i"), F.collect_list("v").alias("v"))  # ids are dense
+    x = b.select(F.col("i").alias("ia"), F.col("v").alias("va")).crossJoin(b.select(F.col("i").alias("ib"), F.col("v").alias("vb")))
+    near = x.mapInArrow(_nearest(k), "src long, dst long, cos double")
+    return near.withColumn("r", F.row_number().over(Window.partitionBy("src").orderBy(F.desc("cos"), "dst"))).where(F.col("r") <= k).select("src", "dst")
+
+
+def knn_graph(spark, d) -> Digraph:
+    return as_digraph(knn_arcs(spark, d), load(spark, d, "embeddings").select(F.col("vec_id").alias("id")))
