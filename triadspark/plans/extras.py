@@ -200,3 +200,17 @@ def digraph_source(s, d):
 
 
 _add("powerlaw_generated", digraph_source)
+
+# ---------------------------------------------------------------- oracles of queries registered elsewhere
+
+_types = "(values " + ", ".join(f"({t[0]}, {t[2]}, {t[3]}, {t[5]}, {t[6]}, {t[7]})" for t in base.TYPES) + ") as ty(no, mu, asy, tr, it, cy)"
+SQL["properties_social"] = f"select round(sum(n_triads * mu) / sum(n_triads * (mu + asy)), 6) as reciprocity, round(sum(n_triads * tr) / sum(n_triads * (tr + it)), 6) as transitivity, sum(n_triads * cy)::bigint as cycles from ({_wedge('social')}) join (select * from {_types}) on no = triad_no"
+_drift = f"""{base._shares}, tr as (select win_start, triad_type, share, total, round(share - lag(share) over o, 9) as change, avg(share) over t as mean, stddev_samp(share) over t as dev, count(share) over t as history, avg(n_triads::double) over t as mean_n
+  from s2 window o as (partition by triad_type order by win_start), t as (partition by triad_type order by win_start rows between 7 preceding and 1 preceding)),
+dr as (select win_start, triad_type, share, change, history, round((share - mean) / greatest(coalesce(dev, 0), sqrt(greatest(coalesce(mean_n, 1), 1)) / greatest(total, 1)), 6) as z from tr)"""
+_members = "pt as (select * from (values " + ", ".join(f"('{p}', '{t}')" for p, t, _ in T.PATTERNS) + ") as x(pattern, triad_type)), "
+SQL["daily_drift_traffic"] = f"with {_drift} select * from dr"
+SQL["pattern_scores_traffic"] = f"with {_members}{_drift} select win_start, pattern, round(min(z), 6) as score, min(history) as history from dr join pt using (triad_type) group by 1, 2"
+SQL["alerts_traffic"] = f"with {_members}{_drift} select win_start, pattern, round(max(z), 6) as score from dr join pt using (triad_type) group by 1, 2 having min(history) >= 5 and round(max(z), 6) >= 3"
+_web = f"with {base.BEFORE['web']}a0 as ({ARCS['web']}), d as (select src, count(distinct dst) as degree from a0 where src <> dst group by 1), h as (select degree, count(*) as n_vertices from d group by 1) "
+SQL["powerlaw_web"] = _web + "select round(-regr_slope(ln(n_vertices), ln(degree)), 6) as loglog, round(1 + sum(n_vertices) / sum(n_vertices * ln(degree / 0.5)), 6) as mle from h"

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.codes import FOLD, LABELS, type_table
+from ..functions.codes import FOLD, LABELS, TYPES, type_table  # noqa: F401
 from ..operators import census as C
 from ..operators import graph as G
 from ..operators import measures as M
