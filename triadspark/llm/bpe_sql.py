@@ -15,7 +15,7 @@ from __future__ import annotations
 
 import base64
 import hashlib
-from itertools import chain
+from itertools import chain, compress, repeat
 
 import numpy as np
 import pyarrow as pa
@@ -42,6 +42,29 @@ group by s.w order by s.w
 """
 
 
+class WordChunks(ChunkCache):
+    """A chunk of letters alone is one match of a pattern that has ` ?\\p{L}+`, and goes to the query without splitting."""
+
+    def __init__(self, bpe: SqlBpe, limit: int):
+        super().__init__(bpe.chunk_ids, limit=limit)
+        self.bpe = bpe
+
+    def reset(self) -> None:
+        super().reset()
+        self.marks: dict[str, int] = {}  # words without a leading space
+
+    def _put_cut(self, words: list[str]) -> list[int]:
+        # letters below U+0250 are the same in every version of Unicode
+        plain = [w.isalpha() and (w.isascii() or max(w) < "\u0250") for w in words] if self.bpe.letter_runs else [False] * len(words)
+        out = np.empty(len(words), np.int64)
+        mask = np.array(plain, bool)
+        letters = list(compress(words, plain))
+        out[mask] = self._put_flat(*self.bpe.flat_words([(" " + w).encode() for w in letters]))
+        self.at.update(zip(letters, out[mask].tolist(), strict=True))  # chunks with marks at such words find them
+        out[~mask] = self._put_flat(*self.bpe.flat_chunks([" " + w for w, p in zip(words, plain, strict=True) if not p]))
+        return out.tolist()
+
+
 class SqlBpe:
     """Encoder and decoder over one rank file."""
 
@@ -50,6 +73,7 @@ class SqlBpe:
         import regex
 
         self.split = regex.compile(pattern).findall
+        self.letter_runs = r"| ?\p{L}+|" in pattern
         with open(path, "rb") as f:
             self.rank = {base64.b64decode(a): int(b) for a, b in (line.split() for line in f if line.strip())}
         triples = [(self.rank[t[:i]], self.rank[t[i:]], r) for t, r in self.rank.items() for i in range(1, len(t)) if t[:i] in self.rank and t[i:] in self.rank]
@@ -62,40 +86,64 @@ class SqlBpe:
         vocab = pa.table({"id": np.array(list(self.rank.values()), np.int32), "piece": ["".join(chr(256 + x) for x in t) for t in self.rank]})  # noqa: F841
         self.db.execute("create table vocab as select * from vocab")
         self.names = [str(i) for i in range(max(self.rank.values(), default=0) + 1)]
-        self.cache = ChunkCache(self.chunk_ids, limit=1_000_000)
+        self.cache = WordChunks(self, limit=1_000_000)
 
     def _arrow(self, query: str) -> pa.Table:
         return self.db.sql(query).to_arrow_table()
 
-    def words(self, new: list[bytes]) -> list[list[int]]:
-        """Ids of each word, by the recursive query where it is no token itself."""
-        out: list[list[int] | None] = [[self.rank[w]] if w in self.rank else None for w in new]
-        todo = [i for i, x in enumerate(out) if x is None]
-        if todo:
-            size = np.array([len(new[i]) for i in todo])
-            raw = np.frombuffer(b"".join(new[i] for i in todo), np.uint8)
-            seed = pa.table({"w": np.repeat(np.arange(len(todo), dtype=np.int32), size), "p": (np.arange(len(raw)) - np.repeat(np.cumsum(size) - size, size)), "id": self.single[raw]})
-            self.db.register("seed", seed)
-            for i, ids in zip(todo, self._arrow(CONTRACT)["ids"].to_pylist(), strict=True):
-                out[i] = ids
-            self.db.unregister("seed")
-        return out
+    def flat_words(self, new: list[bytes], step: int = 40_000) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of all words in one array and their number for each, by the recursive query where a word is no token itself."""
+        flats, sizes = [np.zeros(0, np.int32)], [np.zeros(0, np.int64)]
+        for at in range(0, len(new), step):
+            run = new[at : at + step]
+            token = np.fromiter(map(self.rank.get, run, repeat(-1)), np.int32, len(run))
+            size = np.ones(len(run), np.int64)
+            todo = np.flatnonzero(token < 0)
+            if len(todo):
+                long = [run[i] for i in todo]
+                n = np.fromiter(map(len, long), np.int64, len(long))
+                raw = np.frombuffer(b"".join(long), np.uint8)
+                seed = pa.table({"w": np.repeat(np.arange(len(long), dtype=np.int32), n), "p": np.arange(len(raw)) - np.repeat(np.cumsum(n) - n, n), "id": self.single[raw]})
+                self.db.register("seed", seed)
+                got = self._arrow(CONTRACT)["ids"].combine_chunks()
+                self.db.unregister("seed")
+                size[todo] = np.diff(got.offsets.to_numpy())
+                flat = np.empty(int(size.sum()), np.int32)
+                by_query = np.repeat(token < 0, size)
+                flat[by_query] = got.flatten().to_numpy()
+                flat[~by_query] = token[token >= 0]
+            else:
+                flat = token
+            flats.append(flat)
+            sizes.append(size)
+        return np.concatenate(flats), np.concatenate(sizes)
 
-    def chunk_ids(self, chunks: list[str], step: int = 40_000) -> list[list[int]]:
+    def flat_chunks(self, chunks: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of all chunks in one array and their number for each; words are encoded once, by their number in the cache."""
         split = list(map(self.split, chunks))
-        held, known, fresh, own = self.cache, {}, [], set(chunks)
-        for w in dict.fromkeys(chain.from_iterable(split)):
-            k = held.at[w[1:]] if w[0] == " " and len(w) > 1 and w not in own else -1
-            if k >= 0:  # a chunk of one word, seen before
-                known[w] = held.ids[held.start[k] : held.start[k] + held.size[k]].tolist()
+        every = list(chain.from_iterable(split))
+        held, known, fresh = self.cache, {}, []
+        for w in dict.fromkeys(every):
+            k = held.at[w[1:]] if w[0] == " " and len(w) > 1 else held.marks.get(w, -1)
+            if k >= 0:
+                known[w] = k
             else:
                 fresh.append(w)
-        raw = [w.encode() for w in fresh]
-        for i in range(0, len(raw), step):
-            known.update(zip(fresh[i : i + step], self.words(raw[i : i + step]), strict=True))
-        keep = [w for w in fresh if w[0] == " " and len(w) > 1 and w not in own]
-        held.at.update(zip([w[1:] for w in keep], held._put([known[w] for w in keep]), strict=True))
-        return [known[ws[0]] if len(ws) == 1 else [x for w in ws for x in known[w]] for ws in split]
+        known.update(zip(fresh, held._put_flat(*self.flat_words([w.encode() for w in fresh])), strict=True))
+        for w in fresh:
+            if w[0] != " " or len(w) == 1:
+                held.marks[w] = known[w]
+            elif held.at.get(w[1:], -2) == -2:
+                held.at[w[1:]] = known[w]
+        at = np.fromiter(map(known.__getitem__, every), np.int64, len(every))
+        ends = np.concatenate(([0], np.cumsum(held.size[at])))
+        last = np.cumsum(np.fromiter(map(len, split), np.int64, len(split)))
+        return held.gather(at), np.diff(ends[last], prepend=0)
+
+    def chunk_ids(self, chunks: list[str]) -> list[list[int]]:
+        flat, size = self.flat_chunks(chunks)
+        ends, ids = np.cumsum(size).tolist(), flat.tolist()
+        return [ids[e - n : e] for e, n in zip(ends, size.tolist(), strict=True)]
 
     def decode(self, ids: np.ndarray, counts: np.ndarray) -> list[bytes]:
         """Bytes of each run of ids."""
