@@ -99,6 +99,21 @@ def test_jaccard_dense_and_pairwise_ways_agree(spark, odd):
     assert x[1].component_id == x[2].component_id == 1 and x[3].n_shingles == x[4].n_shingles == 0 and x[None].component_id is None
 
 
+def test_jaccard_links_past_hubs_of_other_sizes(spark):
+    docs = []
+    for f in range(60):  # shorter variants have the smaller ids and lead the stars; only the middle one links the longest
+        ws = [f"f{f}w{i}" for i in range(16)]
+        docs += [(10 * f + i, " ".join(x)) for i, x in enumerate((ws[:12], ws[1:13], ws[2:14], ws[:13], ws[1:14], ws[:14], ws))]
+    sets = {d: {tuple(t.split()[k : k + 5]) for k in range(len(t.split()) - 4)} for d, t in docs}
+    comp = {d: d for d in sets}
+    for a in sets:
+        for b in range(a + 1, a // 10 * 10 + 7):
+            if 100 * len(sets[a] & sets[b]) >= 80 * len(sets[a] | sets[b]):
+                x, y = sorted((comp[a], comp[b]))
+                comp = {k: x if v == y else v for k, v in comp.items()}
+    assert {r.doc_id: r.component_id for r in jaccard_join.jaccard_components(spark.createDataFrame(docs, "doc_id long, text string")).collect()} == comp
+
+
 def test_token_file(spark, odd, tmp_path):
     from tokenizers import Tokenizer
 
