@@ -180,6 +180,15 @@ def test_licenses(odd):
     assert got[12][0].labels == "mit" and got[8][0].base_labels == "cc-by,reserved" and len(got[8]) == 2
 
 
+def test_licenses_of_files_with_many_notices(spark):
+    notices = [(label, n) for label, n, _ in licenses.TEMPLATES]
+    docs = [(0, notices[0][1] + " " + notices[2][1]), (1, " and ".join(n for _, n in notices)), (2, "person files work source code form subject terms " * 50 + notices[2][1])]
+    docs += [(10 + i, "apache license version " * 3) for i in range(40)] + [(100 + i, n) for i, (_, n) in enumerate(notices)]
+    got = {r.doc_id: set(r.labels.split(",")) - {"gpl", "cc-by", "reserved"} for r in licenses.scan_licenses(spark.createDataFrame(docs, "doc_id long, text string")).collect()}
+    assert got[0] == {"mit", "apache-2.0"} and got[1] == {x for x, _ in notices} - {"gpl"} and got[2] == {"apache-2.0"}
+    assert all(got[100 + i] == {x} - {"gpl"} for i, (x, _) in enumerate(notices)) and got[10] == {""}
+
+
 def test_sharding(odd):
     got = sharding.byte_shards(odd, shards=4).collect()
     assert len(got) == len(ODD)

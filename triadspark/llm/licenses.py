@@ -1,9 +1,10 @@
 """Licence detection by a positional index of rare licence words; built-in functions only.
 
 Templates are short public notices.  Their words but the most ordinary make the lexicon; document frequencies over all documents give each an
-inverse frequency.  A file looks up the rarest licence words it has; each of their places, less the word's place in a template,
-is an alignment, and equal alignments are counted.  A template labels the file where enough of its words, weighted by rarity,
-stand at their aligned places and every mandatory phrase does so in full.
+inverse frequency.  Every template is looked up by the rarest word of its mandatory phrases (by all its words where these have none in
+the lexicon): a match has that word in its place, so each of the word's places in a file, less its place in the template, is an
+alignment and no match is missed.  A template labels the file where enough of its words, weighted by rarity, stand at their aligned
+places and every mandatory phrase does so in full.
 
 Fixed base phrases give labels of their own wherever their words stand consecutively.
 
@@ -66,7 +67,7 @@ def _phrase_places(words: Column, phrase: str) -> Column:
     return spots
 
 
-def scan_licenses(docs: DataFrame, templates=TEMPLATES, top: int = 6, least: float = 0.6) -> DataFrame:
+def scan_licenses(docs: DataFrame, templates=TEMPLATES, least: float = 0.6) -> DataFrame:
     """doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score of every row of docs."""
     spark = docs.sparkSession
     lex = lexicon(templates)
@@ -83,7 +84,6 @@ def scan_licenses(docs: DataFrame, templates=TEMPLATES, top: int = 6, least: flo
     n = max(files.count(), 1)
     df = {r["w"]: r["n"] for r in files.select(F.explode("lex").alias("w")).groupBy("w").agg(F.count("*").alias("n")).collect()}
     idf = {w: math.log((n + 1) / (df.get(w, 0) + 1)) + 1e-6 for w in lex}
-    weigh = F.create_map(*(F.lit(x) for w in lex for x in (w, idf[w])))
 
     postings, notices = [], []
     for t, (label, notice, keys) in enumerate(templates):
@@ -95,14 +95,17 @@ def scan_licenses(docs: DataFrame, templates=TEMPLATES, top: int = 6, least: flo
             places.append(next(i for i in range(len(ws)) if ws[i : i + len(k)] == k))
         must = sorted({i + j for i, key in zip(places, keys, strict=True) for j in range(len(key.split()))})
         notices.append((t, label, ws, weights, must, sum(weights)))
-        postings += [(w, t, i) for i, w in enumerate(ws) if w in idf]
+        anchors = [i for i in must if ws[i] in idf]
+        # rarity picks the word that gives the fewest alignments
+        anchors = [max(anchors, key=lambda i: idf[ws[i]])] if anchors else [i for i, w in enumerate(ws) if w in idf]  # noqa: B023
+        postings += [(ws[i], t, i) for i in anchors]
     post = F.broadcast(spark.createDataFrame(postings, "w string, t int, at int"))  # size fixed by the templates
     note = F.broadcast(spark.createDataFrame(notices, "t int, label string, ws array<string>, weights array<double>, must array<int>, total double"))
 
-    rarest = F.slice(F.transform(F.array_sort(F.transform("lex", lambda w: F.struct((-F.element_at(weigh, w)).alias("k"), w.alias("w")))), lambda x: x["w"]), 1, top)
-    some = files.where("size(lex) > 0").withColumn("top", rarest)
-    spots = some.select("row", F.explode(F.filter(F.transform("words", lambda w, i: F.struct(i.alias("p"), w.alias("w"))), lambda x: F.array_contains("top", x["w"]))).alias("x")).select("row", "x.p", "x.w")
-    aligned = spots.join(post, "w").groupBy("row", "t", (F.col("p") - F.col("at")).alias("shift")).agg(F.count("*").alias("votes")).where("votes >= 1")
+    looked = sorted({w for w, _, _ in postings})
+    some = files.where(F.arrays_overlap("lex", lit(looked)))
+    spots = some.select("row", F.explode(F.filter(F.transform("words", lambda w, i: F.struct(i.alias("p"), w.alias("w"))), lambda x: x["w"].isin(looked))).alias("x")).select("row", "x.p", "x.w")
+    aligned = spots.join(post, "w").select("row", "t", (F.col("p") - F.col("at")).alias("shift")).distinct()
     per_file = aligned.join(note, "t").groupBy("row").agg(F.collect_list(F.struct("label", "ws", "weights", "must", "total", "shift")).alias("cand"))
     place = lambda c, j: F.when(c["shift"] + j >= 0, F.get(F.col("words"), c["shift"] + j))
     right = lambda c, j: F.coalesce(place(c, j) == F.get(c["ws"], j), F.lit(False))
