@@ -91,3 +91,32 @@ def test_oracle(spark, sf, duck, name):
     assert sorted(got.columns) == sorted(want.columns)
     cols = sorted(want.columns)
     assert rows(got, cols) == rows(want, cols)
+
+
+def test_word_census_reads_all_documents(spark, sf):
+    import re
+
+    from triadspark.operators.census import census
+    from triadspark.sources.workloads import word_graph
+
+    names, arcs = set(), set()
+    for r in spark.read.parquet(f"{sf}/documents.parquet").select("text").collect():
+        w = re.split(r"[\W\d_]+", (r.text or "").lower())
+        pairs = [(a, b) for a, b in zip(w, w[1:]) if a and b]
+        names |= {x for p in pairs for x in p}
+        arcs |= {p for p in pairs if p[0] != p[1]}
+    near = {x: set() for x in names}
+    for a, b in arcs:
+        near[a].add(b)
+        near[b].add(a)
+    closed = mutual = 0
+    for a in names:
+        for b in near[a]:
+            if a < b:
+                third = [c for c in near[a] & near[b] if b < c]
+                closed += len(third)
+                mutual += sum(all((x, y) in arcs and (y, x) in arcs for x, y in ((a, b), (b, c), (a, c))) for c in third)
+    got = {r[0]: int(r[2]) for r in census(word_graph(spark, sf)).collect()}
+    n = len(names)
+    assert sum(got.values()) == n * (n - 1) * (n - 2) // 6
+    assert sum(got[x] for x in ("030T", "030C", "120D", "120U", "120C", "210", "300")) == closed and got["300"] == mutual

@@ -72,8 +72,10 @@ def web_graph(spark, d) -> Digraph:
     return named_graph(arcs, pages)
 
 
-def word_graph(spark, d, longest: int = 400) -> Digraph:
-    t = load(spark, d, "documents").where(F.length("text") <= longest).select(F.split(F.lower("text"), r"[^\p{L}]+").alias("w"))
+def word_graph(spark, d, longest: int | None = None) -> Digraph:
+    """Word to next word, whole texts of all documents; with longest, only of documents up to so many characters."""
+    docs = load(spark, d, "documents")
+    t = (docs if longest is None else docs.where(F.length("text") <= longest)).select(F.split(F.lower("text"), r"[^\p{L}]+").alias("w"))
     e = t.select(F.explode(F.arrays_zip(F.expr("slice(w, 1, greatest(size(w) - 1, 0))").alias("s"), F.expr("slice(w, 2, greatest(size(w) - 1, 0))").alias("t"))).alias("e"))
     return named_graph(e.select(F.col("e.s").alias("src"), F.col("e.t").alias("dst")).where("src <> '' and dst <> ''"))
 
