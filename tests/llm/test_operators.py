@@ -215,6 +215,36 @@ def test_lm_scores_prefer_target(spark):
     assert len(got) == len(docs) and got[0].score < got[15].score + 1e-9 < got[50].score and got[90].score is None
 
 
+def test_lm_scores_of_all_words(spark):
+    # 12,000 words, most of them rare: halves of documents differ in rare words only
+    docs = [(i, " ".join(f"common w{j}" for j in range(600 * i, 600 * i + 600)) + " common") for i in range(20)]
+    docs += [(20 + i, docs[i][1]) for i in range(20)] + [(50, f"common w{11999} common"), (51, "common w0 common"), (60, None), (None, "W0 common w11999")]
+    good = set(range(10))
+    grams = lambda t: re.findall(r"[a-z0-9]+", (t or "").lower())
+    models = []
+    for some in ([t for d, t in docs if d in good], [t for _, t in docs]):
+        uni, ctx, two = collections.Counter(), collections.Counter(), collections.Counter()
+        for w in map(grams, some):
+            uni.update(w)
+            ctx.update(w + ["<s>"] * bool(w))
+            two.update(zip(["<s>"] + w, w))
+        models.append((uni, ctx, two))
+    v = len(models[1][0])
+    assert v == 12001
+    want = {}
+    for d, t in docs:
+        w, loss = grams(t), []
+        for uni, ctx, two in models:
+            p1 = [(uni[x] + 0.1) / (uni.total() + 0.1 * v) for x in w]
+            p2 = [two[y, x] / ctx[y] if ctx[y] else q for y, x, q in zip(["<s>"] + w, w, p1)]
+            loss.append(-sum(np.log(0.7 * a + 0.3 * b) for a, b in zip(p2, p1)) / len(w) if w else None)
+        want[d] = (len(w), *loss)
+    got = lm_scores.cross_entropy_difference(spark.createDataFrame(docs, "doc_id long, text string").repartition(3), spark.createDataFrame([(d, 1) for d in good], "doc_id long, quality int"), block_bytes=50_000).collect()
+    assert len(got) == len(docs)
+    for r in got:
+        assert r.n_tokens == want[r.doc_id][0] and (r.target_loss, r.background_loss) == pytest.approx(want[r.doc_id][1:], abs=2e-6)
+
+
 def test_empty_tables(spark):
     none = spark.createDataFrame([], "doc_id long, text string, lang string")
     bench = spark.createDataFrame([], "item_id long, text string")

@@ -1,9 +1,10 @@
 """Cross-entropy difference of two matched bigram models.
 
-Target and background model share one vocabulary: the most frequent words of all documents (the rest is one unknown word).  Both count
-uni- and bigrams of whole texts, the target those of documents that the labels call good, the background all documents.
-Each block of documents counts its own n-grams; buckets of n-grams add the blocks' counts and give every block the totals of just those
-it has, so models are never gathered in one place.  A document's score is its loss per token under the target model less that under
+Target and background model share one vocabulary: all words of all documents, however many.  Both count uni- and bigrams of whole texts,
+the target those of documents that the labels call good, the background all documents.
+Each block of documents counts its own n-grams, named by 62-bit hashes; buckets of n-grams (ranges of hashes) add the blocks' counts and give
+every block the totals of just those it has, in the order it sent them, and the number of distinct words of the bucket; so neither models nor
+vocabulary are ever gathered in one place.  A document's score is its loss per token under the target model less that under
 the background model, both interpolated from bi- to unigrams; lower is more like the target.
 
 Edge cases: null or empty text has no tokens: losses and score are null.  Without any good label the target model is its smoothing alone.  Documents
@@ -21,150 +22,156 @@ from pyspark.sql import functions as F
 from .common import parts, slim, table
 from .textkernel import ALNUM, GOLD, LOWER, U, mix, pieces, text_bytes, word_hash, words
 
-ALL = U(1 << 40)  # key of all tokens together
-ONE = U(1 << 41)  # unigram keys start here
+# the two low bits of a key tell its kind: bigram 0, word 1; two keys of their own
+ALL, START = U(2), U(3)  # all tokens together; starts of texts, a context
+KIND = U(3)
 
 
-def _hashes(text: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+def _grams(text: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Keys of each word's bigram with the one before it (or the start of the text) and of the word, words per text, places of first words."""
+    h, counts = word_hashes(text)
+    before = np.empty_like(h)
+    before[1:] = h[:-1]
+    heads = (np.cumsum(counts) - counts)[counts > 0]
+    before[heads] = START
+    return mix(before * GOLD + h) & ~KIND, (h & ~KIND) | U(1), counts, heads
+
+
+def word_hashes(text: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     buf, off = text_bytes(text)
     buf = LOWER[buf]
     starts, lens, counts = words(buf, off, ALNUM)
     return word_hash(buf, starts, lens), counts
 
 
-def _word_counts(batches):
-    held: list[tuple[np.ndarray, np.ndarray]] = []
-    size = 0
+def _pack(x: np.ndarray) -> bytes:
+    """Unsigned numbers as byte planes, as many as the largest needs."""
+    k = max(1, (int(x.max(initial=0)).bit_length() + 7) // 8)
+    return bytes([k]) + x.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :k].T.tobytes()
 
-    def flush():
-        h, inv = np.unique(np.concatenate([x[0] for x in held]), return_inverse=True)
-        return pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array(np.bincount(inv, weights=np.concatenate([x[1] for x in held])).astype(np.int64))], names=["h", "n"])
 
-    for batch in batches:
-        for t in pieces(batch, "text"):
-            held.append(np.unique(_hashes(t["text"])[0], return_counts=True))
-            size += len(held[-1][0])
-            if size > 2_000_000:
-                yield flush()
-                held, size = [], 0
-    if held:
-        yield flush()
+def _unpack(x: bytes) -> np.ndarray:
+    planes = np.frombuffer(x, np.uint8, offset=1).reshape(x[0], -1)
+    out = np.zeros((planes.shape[1], 8), np.uint8)
+    out[:, : x[0]] = planes.T
+    return out.view("<u8").ravel()
 
 
-def vocabulary(docs: DataFrame, size: int) -> np.ndarray:
-    """Sorted hashes of the `size` most frequent words of all documents; the model's vocabulary, so at most `size` numbers."""
-    top = slim(docs).mapInArrow(_word_counts, "h long, n long").groupBy("h").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "h").limit(size)
-    return np.sort(np.array([r["h"] for r in top.collect()], np.int64).view(U))
+def _pack_keys(key: np.ndarray) -> bytes:
+    """Ascending keys: the first, then steps."""
+    return key[:1].tobytes() + _pack(np.diff(key)) if len(key) else b""
 
 
-def _grams(text: pa.Array, vocab: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Word numbers (0: unknown), keys of each word's bigram with the one before it (start of text: word number size+1), words per text."""
-    h, counts = _hashes(text)
-    v = len(vocab)
-    at = np.minimum(np.searchsorted(vocab, h), max(0, v - 1))
-    no = np.where(vocab[at] == h, at + 1, 0).astype(U) if v else np.zeros(len(h), U)
-    before = np.empty_like(no)
-    before[1:] = no[:-1]
-    heads = (np.cumsum(counts) - counts)[counts > 0]
-    before[heads] = U(v + 1)
-    return no, (before << U(20)) | no, counts
+def _unpack_keys(x: bytes) -> np.ndarray:
+    return np.cumsum(np.concatenate((np.frombuffer(x, U, 1), _unpack(x[8:]))), dtype=U) if x else np.zeros(0, U)
+
+
+def _mark(t: pa.Table) -> pa.Table:
+    """Documents of a block with their flag; label rows go."""
+    good = t["good"].fill_null(False).to_numpy()
+    ids = t["doc_id"].fill_null(-(1 << 63)).to_numpy()
+    docs = t.filter(pa.array(~good))
+    own = ids[~good]
+    return pa.table({"doc_id": docs["doc_id"], "text": docs["text"], "block": docs["block"], "good": pa.array(np.isin(own, ids[good]))})
 
 
 _COUNTED = "bucket int, block int, keys binary, target binary, back binary"
+_TOTALS = "bucket int, block int, n_words long, target binary, back binary"
 
 
-def _count(vocab: np.ndarray, buckets: int):
+def _count(buckets: int):
     def run(t: pa.Table) -> pa.Table:
-        block, keys, good = t["block"][0].as_py(), [], []
-        for p in pieces(t, "text"):
-            no, two, counts = _grams(p["text"], vocab)
+        t = _mark(t)
+        ones = np.array([ALL, START])
+        keys, good, ends = [ones], [np.zeros(2, bool)], [np.zeros(2, np.int64)]  # of the two own keys: how many there are, in all and in the target
+        for p in pieces(t, "text") if t.num_rows else ():
+            two, one, counts, heads = _grams(p["text"])
             flag = np.repeat(p["good"].to_numpy(), counts)
-            before = two >> U(20)
-            keys += [two, no + ONE, np.full(len(no), ALL), before[before == U(len(vocab) + 1)] + ONE]  # starts are contexts too
-            good += [flag, flag, flag, flag[before == U(len(vocab) + 1)]]
-        key, inv = np.unique(np.concatenate(keys), return_inverse=True)
-        g = np.concatenate(good)
-        back, target = np.bincount(inv, minlength=len(key)), np.bincount(inv[g], minlength=len(key))
-        b = (mix(key * GOLD) % U(buckets)).astype(np.int64)
-        o = np.argsort(b, kind="stable")
-        names = np.unique(b)
-        s, e = np.searchsorted(b[o], names), np.searchsorted(b[o], names, "right")
-        cut = lambda x, kind: pa.array([x[o[i:j]].astype(kind).tobytes() for i, j in zip(s, e, strict=True)], pa.binary())
-        return pa.table({"bucket": pa.array(names, pa.int32()), "block": pa.array(np.full(len(names), block), pa.int32()), "keys": cut(key, "<u8"), "target": cut(target, "<u4"), "back": cut(back, "<u4")})
+            keys += [two, one]
+            good += [flag, flag]
+            ends.append(np.array([len(one), len(heads), flag.sum(), flag[heads].sum()]))
+        if not t.num_rows:
+            return pa.table({"bucket": pa.array([], pa.int32()), "block": pa.array([], pa.int32()), **{c: pa.array([], pa.binary()) for c in ("keys", "target", "back")}})
+        every = np.concatenate(keys)
+        key, back = np.unique(every, return_counts=True)
+        some, n = np.unique(every[np.concatenate(good)], return_counts=True)
+        target = np.zeros(len(key), np.int64)
+        target[np.searchsorted(key, some)] = n
+        total = np.sum(ends[1:], axis=0)
+        at = np.searchsorted(key, ones)
+        back[at], target[at] = total[:2], total[2:]
+        cuts = np.searchsorted(_bucket(key, buckets), np.arange(buckets + 1))
+        spans = list(zip(cuts[:-1], cuts[1:], strict=True))  # a row for every bucket: each counts distinct words for all blocks
+        return pa.table({"bucket": pa.array(np.arange(buckets), pa.int32()), "block": pa.array(np.full(buckets, t["block"][0].as_py()), pa.int32()), "keys": pa.array([_pack_keys(key[i:j]) for i, j in spans], pa.binary()),
+                         "target": pa.array([_pack(target[i:j]) for i, j in spans], pa.binary()), "back": pa.array([_pack(back[i:j]) for i, j in spans], pa.binary())})
 
     return run
 
 
+def _bucket(key: np.ndarray, buckets: int) -> np.ndarray:
+    """Ascending with the key."""
+    return ((key >> U(32)) * U(buckets)) >> U(32)
+
+
 def _total(t: pa.Table) -> pa.Table:
-    keys = [np.frombuffer(x, U) for x in t["keys"].to_pylist()]
+    keys = [_unpack_keys(x) for x in t["keys"].to_pylist()]
     key, inv = np.unique(np.concatenate(keys), return_inverse=True)
+    ends = np.cumsum([len(k) for k in keys])
     out = {}
     for c in ("target", "back"):
-        s = np.bincount(inv, weights=np.concatenate([np.frombuffer(x, "<u4") for x in t[c].to_pylist()]), minlength=len(key))
-        ends = np.cumsum([len(k) for k in keys])
-        out[c] = pa.array([s[inv[e - len(k) : e]].astype("<u4").tobytes() for k, e in zip(keys, ends, strict=True)], pa.binary())
-    return pa.table({"bucket": t["bucket"].combine_chunks(), "block": t["block"].combine_chunks(), "keys": t["keys"].combine_chunks(), **out})
-
+        s = np.bincount(inv, weights=np.concatenate([_unpack(x) for x in t[c].to_pylist()]), minlength=len(key)).astype(np.int64)
+        out[c] = pa.array([_pack(s[inv[e - len(k) : e]]) for k, e in zip(keys, ends, strict=True)], pa.binary())
+    n = int(((key & KIND) == U(1)).sum())
+    return pa.table({"bucket": t["bucket"].combine_chunks(), "block": t["block"].combine_chunks(), "n_words": pa.array([n] * len(keys), pa.int64()), **out})
 
-def _score(vocab: np.ndarray, mixture: float, alpha: float):
-    v = len(vocab) + 1
 
+def _score(mixture: float, alpha: float):
     def run(docs: pa.Table, model: pa.Table) -> pa.Table:
-        cat = lambda c, kind: np.concatenate([np.frombuffer(x, kind) for x in model[c].to_pylist()]) if model.num_rows else np.zeros(0, kind)
-        key = cat("keys", U)
-        o = np.argsort(key)
-        key, count = key[o], [cat(c, "<u4")[o].astype(float) for c in ("target", "back")]
-        find = lambda x: np.searchsorted(key, x)
-        out: dict[str, list] = {"doc_id": [], "n_tokens": [], "target_loss": [], "background_loss": []}
+        docs = _mark(docs)
+        ids, keys, counts, heads, size = [], [np.array([ALL, START])], [np.zeros(0, np.int64)], [np.zeros(0, np.int64)], 0
         for p in pieces(docs, "text") if docs.num_rows else ():
-            no, two, counts = _grams(p["text"], vocab)
-            n = len(counts)
-            doc = np.repeat(np.arange(n), counts)
-            if len(no):
-                a, b, c, z = find(two), find(no + ONE), find((two >> U(20)) + ONE), int(find(ALL))
-            for c_, name in zip(count, ("target_loss", "background_loss"), strict=True):
-                if len(no):
-                    p1 = (c_[b] + alpha) / (c_[z] + alpha * v)
-                    p2 = np.where(c_[c] > 0, c_[a] / np.maximum(c_[c], 1), p1)
-                    loss = np.bincount(doc, weights=-np.log(mixture * p2 + (1 - mixture) * p1), minlength=n)
-                else:
-                    loss = np.zeros(n)
-                out[name].append(np.where(counts > 0, loss / np.maximum(counts, 1), np.nan))
-            out["doc_id"] += p["doc_id"].to_pylist()
-            out["n_tokens"].append(counts)
-        num = lambda c: np.concatenate(out[c]) if out[c] else np.zeros(0)
-        t, b = num("target_loss"), num("background_loss")
+            two, one, n, first = _grams(p["text"])
+            ids += p["doc_id"].to_pylist()
+            keys += [two, one]
+            counts.append(n)
+            heads.append(first + size)
+            size += len(one)
+        n, heads = np.concatenate(counts), np.concatenate(heads)
+        doc = np.repeat(np.arange(len(n)), n)
+        losses = [np.full(len(n), np.nan)] * 2
+        if size:
+            # the block's keys again, in the order of buckets that the totals are in
+            inv = np.unique(np.concatenate(keys[:1] + keys[1::2] + keys[2::2]), return_inverse=True)[1]
+            z, start, a, b = inv[0], inv[1], inv[2 : 2 + size], inv[2 + size :]
+            c = np.concatenate((b[:1], b[:-1]))
+            c[heads] = start
+            model = model.sort_by("bucket")
+            v = int(np.sum(model["n_words"].to_numpy()))
+            for k, name in enumerate(("target", "back")):
+                count = np.concatenate([_unpack(x) for x in model[name].to_pylist()]).astype(float)
+                p1 = (count[b] + alpha) / (count[z] + alpha * v)
+                p2 = np.where(count[c] > 0, count[a] / np.maximum(count[c], 1), p1)
+                loss = np.bincount(doc, weights=-np.log(mixture * p2 + (1 - mixture) * p1), minlength=len(n))
+                losses[k] = np.where(n > 0, loss / np.maximum(n, 1), np.nan)
+        t, b = losses
         real = lambda x: pa.array(np.round(x, 6), pa.float64(), mask=np.isnan(x))
-        return pa.table({"doc_id": pa.array(out["doc_id"], pa.int64()), "n_tokens": pa.array(num("n_tokens").astype(np.int64)), "target_loss": real(t), "background_loss": real(b), "score": real(t - b)})
+        return pa.table({"doc_id": pa.array(ids, pa.int64()), "n_tokens": pa.array(n.astype(np.int64)), "target_loss": real(t), "background_loss": real(b), "score": real(t - b)})
 
     return run
 
 
-def cross_entropy_difference(docs: DataFrame, labels: DataFrame, vocab_size: int = 8192, mixture: float = 0.7, alpha: float = 0.1, block_bytes: int = 4 << 20) -> DataFrame:
+def cross_entropy_difference(docs: DataFrame, labels: DataFrame, mixture: float = 0.7, alpha: float = 0.1, block_bytes: int = 4 << 20) -> DataFrame:
     """doc_id, n_tokens, target_loss, background_loss, score of every row of docs; labels(doc_id, quality) tell the target's documents."""
-    if not 0 < vocab_size < 1 << 19:
-        raise ValueError("vocab_size out of range")
-    vocab = vocabulary(docs, vocab_size)
     docs = slim(docs)
     good = labels.where("quality = 1").select(F.col("doc_id").cast("long").alias("doc_id"), F.lit(True).alias("good")).distinct()
     n = parts(docs, block_bytes)
     block = F.pmod(F.xxhash64("doc_id"), F.lit(n)).cast("int").alias("block")
     # labels go to the blocks that hold their documents; texts move once
     blocks = docs.select("doc_id", "text", block).unionByName(good.select("doc_id", F.lit(None).cast("string").alias("text"), block, "good"), allowMissingColumns=True).repartition(max(1, n // 3), "block")
-    marked = blocks.groupBy("block").applyInArrow(_mark, "doc_id long, text string, block int, good boolean")
-    counted = marked.groupBy("block").applyInArrow(_count(vocab, n), _COUNTED)
-    totals = counted.groupBy("bucket").applyInArrow(_total, _COUNTED)
+    counted = blocks.groupBy("block").applyInArrow(_count(n), _COUNTED)
+    totals = counted.groupBy("bucket").applyInArrow(_total, _TOTALS)
     out = "doc_id long, n_tokens long, target_loss double, background_loss double, score double"
-    return marked.groupBy("block").cogroup(totals.groupBy("block")).applyInArrow(_score(vocab, mixture, alpha), out)
-
-
-def _mark(t: pa.Table) -> pa.Table:
-    """Documents of a block with their flag; label rows go."""
-    good = t["good"].fill_null(False).to_numpy()
-    ids = t["doc_id"].fill_null(-(1 << 63)).to_numpy()
-    docs = t.filter(pa.array(~good))
-    own = ids[~good]
-    return pa.table({"doc_id": docs["doc_id"], "text": docs["text"], "block": docs["block"], "good": pa.array(np.isin(own, ids[good]))})
+    return blocks.groupBy("block").cogroup(totals.groupBy("block")).applyInArrow(_score(mixture, alpha), out)
 
 
 def op4_lm_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
