@@ -209,6 +209,17 @@ def test_decontamination_blocks_and_slop(spark, odd):
     assert "4" in near[1]
 
 
+def test_decontamination_proximity_at_the_start_of_a_text(spark, sf):
+    bench = spark.createDataFrame([(7, "alpha beta gamma delta omega")], "item_id long, text string")
+    texts = {1: "omega alpha beta gamma delta", 2: "alpha beta gamma delta"}  # the rarest word comes first, four places early
+    for order in ((1, 2), (2, 1)):
+        docs = spark.createDataFrame([(d, texts[d]) for d in order], "doc_id long, text string").coalesce(1)
+        assert {r.doc_id: list(r.near_items) for r in decontamination.find_items(docs, bench, slop=5).collect()} == {1: ["7"], 2: []}
+    near = {r.doc_id: r for r in QUERIES["op10_proximity"](spark, sf).collect()}
+    exact = {r.doc_id: r for r in QUERIES["op10_decontamination"](spark, sf).collect()}
+    assert near.keys() == exact.keys() and any(r.n_near_items for r in near.values()) and all(near[d].n_near_items >= exact[d].n_items for d in exact)
+
+
 def test_lm_scores_prefer_target(spark):
     docs = [(i, "the cat sat on the mat and the dog sat too " * 3) for i in range(20)] + [(50 + i, "zz qq zz qq xx zz qq " * 4) for i in range(20)] + [(90, None), (91, "")]
     got = {r.doc_id: r for r in lm_scores.cross_entropy_difference(spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame([(i, 1) for i in range(10)], "doc_id long, quality int")).collect()}

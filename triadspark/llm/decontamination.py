@@ -67,8 +67,8 @@ def _index(terms: np.ndarray, gap: int):
     return run
 
 
-def _shifted(lists: list[np.ndarray], offsets: list[int], slop: int) -> np.ndarray:
-    """Places where all lists agree once shifted by their offsets, within `slop` words."""
+def _shifted(lists: list[np.ndarray], offsets: list[int], slop: int) -> tuple[np.ndarray, int]:
+    """Places where all lists agree once shifted by their offsets, within `slop` words; and the offset of the list they are taken from."""
     order = sorted(range(len(lists)), key=lambda i: len(lists[i]))
     base = lists[order[0]].astype(np.int64) - offsets[order[0]]
     for i in order[1:]:
@@ -77,7 +77,7 @@ def _shifted(lists: list[np.ndarray], offsets: list[int], slop: int) -> np.ndarr
         x = lists[i].astype(np.int64) - offsets[i]
         at = np.searchsorted(x, base - slop)
         base = base[(at < len(x)) & (x[np.minimum(at, len(x) - 1)] <= base + slop)]
-    return base
+    return base, offsets[order[0]]
 
 
 def _search(w: Windows, gap: int, slop: int):
@@ -103,14 +103,15 @@ def _search(w: Windows, gap: int, slop: int):
                 for k in np.flatnonzero(rare > 0):
                     win = w.windows[k]
                     lists = [post[end[t] - size[t] : end[t]] for t in win]
-                    at = _shifted(lists, list(range(len(win))), 0)
+                    at, _ = _shifted(lists, list(range(len(win))), 0)
                     if len(at):
                         delta[at] += 1
                         np.add.at(delta, at + len(win), -1)
                         for d in np.unique(np.searchsorted(start_of, at, "right") - 1):
                             items.setdefault(int(d), set()).update(w.items[k])
                     if slop:
-                        for d in np.unique(np.searchsorted(start_of, _shifted(lists, list(range(len(win))), slop), "right") - 1):
+                        at, anchor = _shifted(lists, list(range(len(win))), slop)  # may lie before the text; its posting does not
+                        for d in np.unique(np.searchsorted(start_of, at + anchor, "right") - 1):
                             near.setdefault(int(d), set()).update(w.items[k])
                 covered = np.concatenate(([0], np.cumsum(np.cumsum(delta) > 0)))
                 spans = covered[start_of + counts] - covered[start_of]
@@ -178,7 +179,13 @@ def op10_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), F.sha2(F.array_join("items", ",").cast("binary"), 256).alias("items_sha256"), (F.col("n_hit") > 0).alias("contaminated"))
 
 
-QUERIES = {"op10_decontamination": op10_decontamination}
+def op10_proximity(spark: SparkSession, sf_dir: str, slop: int = 2) -> DataFrame:
+    """Items found where each word may stand up to `slop` words off its place beside the rarest; exact matches are among them."""
+    found = find_items(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"), slop=slop)
+    return found.select("doc_id", "n_words", F.size("near_items").cast("long").alias("n_near_items"), F.array_join("near_items", ",").alias("near_items"))
+
+
+QUERIES = {"op10_decontamination": op10_decontamination, "op10_proximity": op10_proximity}
 _WORDS = r"list_filter(regexp_split_to_array(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x00-\x2F\x3A-\x60\x7B-\x7F]+'), lambda x: x <> '')"
 SQL = {"op10_decontamination": f"""
 with d as (select doc_id, {_WORDS} as ws from documents), i as (select item_id::varchar as item_id, {_WORDS} as ws from benchmark where text is not null),
