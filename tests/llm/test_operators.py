@@ -279,3 +279,35 @@ def test_pipeline(spark, sf):
         ids = now
         sizes.append(len(now))
     assert sizes == sorted(sizes, reverse=True) and sizes[-1] == sizes[-2]
+
+
+def test_jaccard_rows_of_one_id(spark):
+    a, b = (" ".join(f"{x}{i}" for i in range(30)) for x in "ab")
+    docs = [(8, a), (8, b), (3, a), (5, b + " more"), (9, None), (9, a), (4, "other words"), (4, "other words"), (7, "")]
+    got = sorted((r.doc_id, r.n_shingles, r.component_id, r.n_copies) for r in jaccard_join.jaccard_components(spark.createDataFrame(docs, "doc_id long, text string")).collect())
+    assert got == sorted([(8, 26, 3, 3), (8, 26, 3, 1), (3, 26, 3, 3), (5, 27, 3, 1), (9, 0, 9, 1), (9, 26, 3, 3), (4, 1, 4, 1), (4, 1, 4, 1), (7, 0, 7, 1)])
+
+
+def test_sketches_never_rule_out_a_link():
+    rng = np.random.default_rng(3)
+    for _ in range(200):
+        n = int(rng.integers(1, 400))
+        base = rng.choice(1 << 48, 2 * n, replace=False).astype(np.uint64)
+        x, y = np.sort(base[:n]), np.sort(base[int(rng.integers(0, n)) : n + int(rng.integers(0, n))])
+        if len(y):
+            k = jaccard_join.sketches(np.concatenate((x, y)), np.array([len(x), len(y)]))
+            assert jaccard_join.differing([k[0]], [k[1]])[0] <= len(np.setxor1d(x, y)) == jaccard_join.differing([k[0]], [k[1]])[0] + 2 * ((len(np.setxor1d(x, y)) - jaccard_join.differing([k[0]], [k[1]])[0]) // 2)
+
+
+def test_word_hash_of_long_words():
+    from triadspark.llm.textkernel import PAD, word_hash
+
+    rng = np.random.default_rng(4)
+    words = [bytes(rng.integers(33, 126, n, dtype=np.uint8)) for n in (1, 8, 64, 65, 72, 73, 500, 500, 100_000)]
+    words += [words[-1][:-1] + b"!", words[-1][8:] + words[-1][:8], words[4], words[6]]
+    hashes = []
+    for order in (words, words[::-1]):
+        buf = np.frombuffer(b"".join(order) + bytes(PAD), np.uint8)
+        lens = np.array([len(w) for w in order])
+        hashes.append(dict(zip(order, word_hash(buf, np.cumsum(lens) - lens, lens).tolist(), strict=True)))
+    assert hashes[0] == hashes[1] and len(set(hashes[0].values())) == len(set(words))

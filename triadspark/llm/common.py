@@ -13,24 +13,43 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or an own one where none is set (tests)."""
+    """The folder that driver and executors share: spark.checkpoint.dir.  Where none is set, an own one if there is no cluster, else an error."""
     at = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if not at:
         held = spark.sparkContext._jsc.sc().getCheckpointDir()
         at = held.get() if held.isDefined() else None
     if not at:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         at = "/tmp/checkpoints"
     return at.rstrip("/")
 
 
-def stored(df: DataFrame, what: str) -> DataFrame:
-    """Cuts the lineage: written once as Parquet in the shared folder, read back with the known schema."""
+def stored(df: DataFrame, what: str, paths: list[str] | None = None) -> DataFrame:
+    """Cuts the lineage: written once as Parquet in the shared folder, read back with the known schema; its place is added to `paths`."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{what}-{uuid.uuid4().hex}"
     df.write.parquet(path)
+    if paths is not None:
+        paths.append(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def drop(spark: SparkSession, paths: list[str]) -> None:
+    """Deletes stored tables that nothing reads any more."""
+    for path in paths:
+        at = spark._jvm.org.apache.hadoop.fs.Path(path)
+        at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
+    paths.clear()
+
+
+def hot_keys(df: DataFrame, keys: list[str], rows: int, per: int = 256) -> DataFrame:
+    """(keys, c, s): keys with more than `per` rows and more than a thousandth of all `rows`, so a thousand of them at most, which may be
+    broadcast; s is the number of shares to deal such a key's rows to."""
+    per = max(per, -(-rows // 1000))
+    return df.groupBy(*keys).agg(F.count("*").alias("c")).where(F.col("c") > per).withColumn("s", F.ceil(F.col("c") / per).cast("int"))
+
+
 def input_bytes(df: DataFrame) -> int | None:
     """Catalyst's estimate for the scan under df, None where it has none."""
     n = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))

@@ -14,6 +14,7 @@ import pyarrow as pa
 
 U = np.uint64
 PAD = 96
+LONG = 64  # bytes from which a word is hashed in one go
 GOLD = U(0x9E3779B97F4A7C15)
 _M1, _M2 = U(0xBF58476D1CE4E5B9), U(0x94D049BB133111EB)
 _KEEP = np.array([(1 << (8 * i)) - 1 if i < 8 else (1 << 64) - 1 for i in range(9)], dtype=U)
@@ -39,14 +40,16 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x
 
 
-def text_bytes(column: pa.Array | pa.ChunkedArray) -> tuple[np.ndarray, np.ndarray]:
-    """(bytes with PAD zeros behind, offsets) of a string or binary column; null counts as empty.
-
-    A worker that does this has gone over to another operator: what encoders kept there is let go."""
+def release_encoders() -> None:
+    """Lets go what encoders kept in this worker, which has gone over to another operator."""
     held = sys.modules.get("_chunk_cache_of_worker")
     if held is not None:
         for name in [k for k in vars(held) if ":" in k]:
             delattr(held, name)
+
+
+def text_bytes(column: pa.Array | pa.ChunkedArray) -> tuple[np.ndarray, np.ndarray]:
+    """(bytes with PAD zeros behind, offsets) of a string or binary column; null counts as empty."""
     if isinstance(column, pa.ChunkedArray):
         column = column.combine_chunks()
     if isinstance(column, pa.ChunkedArray):
@@ -110,12 +113,27 @@ def word_hash(padded: np.ndarray, starts: np.ndarray, lens: np.ndarray, seed: in
     h = w8[starts] & _KEEP[np.minimum(lens, 8)]
     h += lens.astype(U) * GOLD + U(seed)
     h = mix(h)
-    at, sel = 8, np.flatnonzero(lens > 8)
+    at, sel = 8, np.flatnonzero((lens > 8) & (lens <= LONG))
     while len(sel):
         x = w8[starts[sel] + at] & _KEEP[np.minimum(lens[sel] - at, 8)]
         h[sel] = mix((h[sel] * _M1 + U(at)) ^ x)
         at += 8
         sel = sel[lens[sel] > at]
+    # the pieces of longer words are hashed all at once with their numbers, and added
+    sel = np.flatnonzero(lens > LONG)
+    upto = np.cumsum(lens[sel])
+    i = 0
+    while i < len(sel):
+        j = max(i + 1, int(np.searchsorted(upto, (upto[i - 1] if i else 0) + (1 << 23), "right")))
+        of = sel[i:j]
+        n = -(-lens[of] // 8)
+        ends = np.cumsum(n)
+        word = np.repeat(np.arange(len(of)), n)
+        no = np.arange(int(ends[-1])) - (ends - n)[word]
+        x = w8[starts[of][word] + 8 * no] & _KEEP[np.minimum(lens[of][word] - 8 * no, 8)]
+        x = mix(x + (no.astype(U) + U(1)) * GOLD)
+        h[of] = mix((h[of] * _M1) ^ np.add.reduceat(mix(x ^ _M2), ends - n))
+        i = j
     return h
 
 
