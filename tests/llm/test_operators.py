@@ -153,6 +153,21 @@ def test_bpe(spark, odd):
     assert sorted((tuple(r) for r in bpe_sql.bpe_round_trip(odd, RANKS, public_tokenizers.PATTERN).collect()), key=str) == sorted(want, key=str)
 
 
+def test_bpe_long_words():
+    import tiktoken
+
+    own = bpe_sql.SqlBpe(RANKS, public_tokenizers.PATTERN)
+    tool = tiktoken.Encoding("own", pat_str=public_tokenizers.PATTERN, mergeable_ranks=own.rank, special_tokens={})
+    rng = np.random.default_rng(5)
+    words = [(x * 3000)[:n] for x in (b"x", b"ab", b"aba", b"abcab", b"=", b"=-", "\u00e9\u65e5".encode()) for n in (40, 1800)]
+    words += [bytes(rng.integers(lo, hi, n, dtype=np.uint8)) for lo, hi in ((97, 99), (97, 101), (97, 123), (0, 256)) for n in (60, 2500)]
+    for w in words:
+        assert own.long_word(w).tolist() == tool._encode_single_piece(w)
+    # long and short words of one run
+    flat, size = own.flat_words([words[1], b"the", words[3], b"qzqzq"])
+    assert flat.tolist() == [i for w in (words[1], b"the", words[3], b"qzqzq") for i in tool._encode_single_piece(w)] and len(size) == 4
+
+
 def lower(t):
     return re.sub("[A-Z]", lambda m: m[0].lower(), t or "")
 

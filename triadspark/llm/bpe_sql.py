@@ -2,7 +2,8 @@
 
 Every Python worker holds an in-process SQL database with two tables made from a rank file: the vocabulary, and all merges
 (two ids whose bytes together are a token; its id is its rank).  New words become rows (word, position, id), one a byte.  A recursive query
-joins neighbours to the merge table and contracts each word's leftmost pair of the least rank, until no word has such a pair.
+joins neighbours to the merge table and contracts each word's leftmost pair of the least rank, until no word has such a pair.  A long word
+goes alone to a second recursive query, which contracts at once all pairs that are the least far around.
 Words that are tokens themselves are looked up at once, as the rank library does.  Decoding is an ordered aggregation of token texts.
 
 Words recur, so ids of chunks between single spaces are kept in a bounded cache per worker; only new chunks reach the query.
@@ -25,6 +26,9 @@ from .common import slim, table
 from .encoding import ChunkCache, worker_state
 from .textkernel import pieces
 
+#: bytes from which a word goes to the query for one long word
+LONG_WORD = 1000
+
 CONTRACT = """
 with recursive state as (
   select w, p, id, 0 as round from seed
@@ -41,6 +45,30 @@ from state s join (select w, max(round) as last from state group by w) l on s.w
 group by s.w order by s.w
 """
 
+#: One long word, state kept by place (a contracted place has id -1).  A pair is contracted in a round if no pair within {reach} places on either side has a
+#: lesser rank, and if it is the leftmost of that rank there, or neither it nor any pair before it there would make, with its neighbours as they are or
+#: with a second such token, a pair of lesser rank.  Of a run of overlapping pairs of one
+#: rank every other one is, from the run's head on, as far as all of them are the least around them.  Only a token that grows place by place from outside could forestall it, and it would need more bytes than any token of the word's bytes has.
+#: So every such pair is one that contracting the leftmost pair of the least rank, time after time, arrives at too.
+CONTRACT_LONG = """
+with recursive state(p, id) using key (p) as (
+  select p, id from seed
+  union
+  (with live as (select p, id, lag(id) over o as prev_id, lead(id) over o as next_id, lead(p) over o as next_p, lead(id, 2) over o as after_id from recurring.state where id >= 0 window o as (order by p)),
+   pairs as materialized (select l.p, l.next_p, m.merged as r, prev_id, after_id, m.risky from live l left join merges m on m.a = l.id and m.b = l.next_id),
+   bad as (select x.p from pairs x join lower m on m.a = x.prev_id and m.b = x.r and m.merged < x.r where x.risky
+     union select x.p from pairs x join lower m on m.a = x.r and m.b = x.after_id and m.merged < x.r where x.risky
+     union select x.p from pairs x join lower m on m.a = x.r and m.b = x.r and m.merged < x.r where x.risky),
+   near as (select pairs.p, next_p, r, min(r) over w as least, min(r) over b as ahead, max(bad.p) over b as danger, bad.p as own, lag(r) over o as last, row_number() over o as n
+     from pairs left join bad on bad.p = pairs.p
+     window o as (order by pairs.p), w as (order by pairs.p rows between {reach} preceding and {reach} following), b as (order by pairs.p rows between {reach} preceding and 1 preceding)),
+   runs as (select *, max(case when last is distinct from r then n end) over (order by p) as head, max(case when r is distinct from least then n else 0 end) over (order by p) as unsafe from near),
+   pick as materialized (select p, next_p, r from runs where r = least and (ahead is null or ahead > r or (danger is null and own is null and unsafe < head and (n - head) % 2 = 0)))
+   select p, r from pick union all select next_p, -1 from pick)
+)
+select id from state where id >= 0 order by p
+"""
+
 
 class WordChunks(ChunkCache):
     """A chunk of letters alone is one match of a pattern that has ` ?\\p{L}+`, and goes to the query without splitting."""
@@ -80,8 +108,10 @@ class SqlBpe:
         self.single = np.array([self.rank.get(bytes([b]), -1) for b in range(256)], np.int32)
         self.db = duckdb.connect(":memory:", config={"threads": 1, "memory_limit": "300MB"})
         a, b, m = (np.array(x, np.int32) for x in zip(*triples, strict=True)) if triples else (np.zeros(0, np.int32),) * 3
-        merges = pa.table({"a": a, "b": b, "merged": m})  # noqa: F841
+        lower = np.unique(np.concatenate((a[m < a], b[m < b])))  # tokens that are in a pair of lesser rank than their own
+        merges = pa.table({"a": a, "b": b, "merged": m, "risky": np.isin(m, lower)})  # noqa: F841
         self.db.execute("create table merges as select * from merges")
+        self.db.execute("create table lower as select a, b, merged from merges where merged < a or merged < b")
         # token bytes as characters 256..511, one a byte, so that texts aggregate as strings
         vocab = pa.table({"id": np.array(list(self.rank.values()), np.int32), "piece": ["".join(chr(256 + x) for x in t) for t in self.rank]})  # noqa: F841
         self.db.execute("create table vocab as select * from vocab")
@@ -91,12 +121,36 @@ class SqlBpe:
     def _arrow(self, query: str) -> pa.Table:
         return self.db.sql(query).to_arrow_table()
 
+    def _longest(self, word: bytes) -> int:
+        """Bytes of the longest token that has only bytes of the word."""
+        if not hasattr(self, "token_bytes"):
+            self.token_bytes = np.zeros((len(self.rank), 256), bool)
+            size = np.fromiter(map(len, self.rank), np.int64, len(self.rank))
+            self.token_bytes[np.repeat(np.arange(len(size)), size), np.frombuffer(b"".join(self.rank), np.uint8)] = True
+            self.token_bytes, self.token_size = np.packbits(self.token_bytes, axis=1), size
+        absent = np.ones(256, bool)
+        absent[np.frombuffer(word, np.uint8)] = False
+        return int(self.token_size[~(self.token_bytes & np.packbits(absent)).any(axis=1)].max(initial=1))
+
+    def long_word(self, word: bytes) -> np.ndarray:
+        """Ids of one word that is no token, in rounds whose number hardly grows with its length."""
+        raw = np.frombuffer(word, np.uint8)
+        self.db.register("seed", pa.table({"p": np.arange(len(raw), dtype=np.int32), "id": self.single[raw]}))
+        got = self._arrow(CONTRACT_LONG.format(reach=max(1, self._longest(word) - 1)))["id"].combine_chunks().to_numpy()
+        self.db.unregister("seed")
+        return got
+
     def flat_words(self, new: list[bytes], step: int = 40_000) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all words in one array and their number for each, by the recursive query where a word is no token itself."""
         flats, sizes = [np.zeros(0, np.int32)], [np.zeros(0, np.int64)]
         for at in range(0, len(new), step):
             run = new[at : at + step]
             token = np.fromiter(map(self.rank.get, run, repeat(-1)), np.int32, len(run))
+            if max(map(len, run)) > LONG_WORD:
+                flat, size = self._with_long(run, token)
+                flats.append(flat)
+                sizes.append(size)
+                continue
             size = np.ones(len(run), np.int64)
             todo = np.flatnonzero(token < 0)
             if len(todo):
@@ -118,6 +172,15 @@ class SqlBpe:
             sizes.append(size)
         return np.concatenate(flats), np.concatenate(sizes)
 
+    def _with_long(self, run: list[bytes], token: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The same for words some of which are long."""
+        short = [w for w, k in zip(run, token.tolist(), strict=True) if k >= 0 or len(w) <= LONG_WORD]
+        flat, size = self.flat_words(short)
+        ends = np.cumsum(size).tolist()
+        rows = iter([flat[e - n : e] for e, n in zip(ends, size.tolist(), strict=True)])
+        every = [next(rows) if k >= 0 or len(w) <= LONG_WORD else self.long_word(w) for w, k in zip(run, token.tolist(), strict=True)]
+        return np.concatenate(every).astype(np.int32), np.fromiter(map(len, every), np.int64, len(every))
+
     def flat_chunks(self, chunks: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all chunks in one array and their number for each; words are encoded once, by their number in the cache."""
         split = list(map(self.split, chunks))
