@@ -43,6 +43,15 @@ def drop(spark: SparkSession, paths: list[str]) -> None:
     paths.clear()
 
 
+def narrowed(df: DataFrame, needed: DataFrame, key: str = "doc_id", words: int = 1 << 20) -> DataFrame:
+    """The rows of df whose key may be among the needed ones, before they are shuffled: keys hash to bits, and a bitmap of the needed ones is
+    broadcast, `words` rows of 64 bits at most whatever the tables' size.  A full bitmap lets everything pass, and a join on the key itself has to follow."""
+    slot = F.pmod(F.xxhash64(key), F.lit(64 * words))
+    place = [F.shiftright(slot, 6).alias("_word"), slot.bitwiseAND(F.lit(63)).cast("int").alias("_bit")]
+    bitmap = F.broadcast(needed.select(*place).groupBy("_word").agg(F.bit_or(F.expr("shiftleft(1L, _bit)")).alias("_bits")))
+    return df.select("*", *place).join(bitmap, "_word").where(F.expr("(shiftright(_bits, _bit) & 1) = 1")).drop("_word", "_bit", "_bits")
+
+
 def hot_keys(df: DataFrame, keys: list[str], rows: int, per: int = 256) -> DataFrame:
     """(keys, c, s): keys with more than `per` rows and more than a thousandth of all `rows`, so a thousand of them at most, which may be
     broadcast; s is the number of shares to deal such a key's rows to."""
