@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import parts, slim, table
-from .textkernel import ALNUM, GOLD, LOWER, U, mix, pieces, text_bytes, word_hash, words
+from .textkernel import ALNUM, GOLD, LOWER, U, mix, pieces, release_encoders, text_bytes, word_hash, words
 
 # the two low bits of a key tell its kind: bigram 0, word 1; two keys of their own
 ALL, START = U(2), U(3)  # all tokens together; starts of texts, a context
@@ -81,6 +81,7 @@ _TOTALS = "bucket int, block int, n_words long, target binary, back binary"
 
 def _count(buckets: int):
     def run(t: pa.Table) -> pa.Table:
+        release_encoders()
         t = _mark(t)
         ones = np.array([ALL, START])
         keys, good, ends = [ones], [np.zeros(2, bool)], [np.zeros(2, np.int64)]  # of the two own keys: how many there are, in all and in the target

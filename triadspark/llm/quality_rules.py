@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import slim, stored, table
-from .textkernel import GOLD, LOWER, NOT_SPACE, U, inside_text, mix, pieces, span_hash, text_bytes, word_hash, words
+from .textkernel import LOWER, NOT_SPACE, inside_text, pieces, release_encoders, span_hash, text_bytes, word_hash, words
 
 #: fixed values: common words by language
 COMMON = {
@@ -116,6 +116,7 @@ _MEASURED = "doc_id long, lang_no int, " + ", ".join(f"{c} long" for c in _COUNT
 
 
 def _measured(batches):
+    release_encoders()
     for batch in batches:
         for t in pieces(batch, "text"):
             lang = np.array([LANGS.index(x) if x in COMMON else len(LANGS) - 1 for x in t["lang"].to_pylist()], np.int64)

@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import parts, slim, table
-from .textkernel import GOLD, U, loads, mix, text_bytes
+from .textkernel import GOLD, U, loads, mix, release_encoders, text_bytes
 
 GRAM = 24
 LAST = (1 << 63) - 1
@@ -190,6 +190,7 @@ _ANCHORS = "bucket int, block int, once binary, twice binary"
 
 def _anchors(width: int, buckets: int):
     def run(t: pa.Table) -> pa.Table:
+        release_encoders()
         block, ids, got = t["block"][0].as_py(), doc_ids(t), []
         for row, buf, off in chunked(t):
             _, _, doc, fp = segments(buf, off, width)

@@ -154,9 +154,3 @@ def inside_text(counts: np.ndarray, width: int) -> np.ndarray:
     n = max(0, total - width + 1)
     left = np.repeat(np.cumsum(counts), counts)[:n] - np.arange(n)
     return left >= width
-
-
-def sha256_hex(x: bytes) -> str:
-    import hashlib
-
-    return hashlib.sha256(x).hexdigest()
