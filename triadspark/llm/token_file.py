@@ -5,8 +5,9 @@ every id, level 1 the second chunk of those that need one, and so on.  A bitmap
 directory holds the number of set bits before every 512, so the place of an id on the next level is one lookup and one
 short count: any token is read without decoding those before it.
 
-Files are Parquet tables in the shared folder with one segment a row, in ascending doc_id order (part, seq); a manifest derives each
-segment's first token from per-part totals.
+Files are Parquet tables in the shared folder with one segment a row, in ascending doc_id order (part, seq), in small row groups without block
+compression or dictionaries, so bytes are stored as the codes have them; a manifest derives each segment's first token from per-part totals.  A look-up finds the segments
+of its positions in the manifest by an equi-join on stretches of positions, and reads those segments alone where they are few.
 
 Edge cases: null text is empty and has only the end id.  A null doc_id sorts first.  Repeated rows each get their own ids; rows of one doc_id
 are ordered by text.  An empty table gives an empty file.  Other columns are ignored.
@@ -98,11 +99,12 @@ def _encode(path: str, end_id: int | None, segment_bytes: int):
     return run
 
 
-def write_tokens(docs: DataFrame, tokenizer: str, path: str, end_id: int | None = 2, part_bytes: int = 8 << 20, segment_bytes: int = 3 << 20) -> str:
+def write_tokens(docs: DataFrame, tokenizer: str, path: str, end_id: int | None = 2, part_bytes: int = 8 << 20, segment_bytes: int = 1 << 20) -> str:
     """Encodes all texts and writes the file at `path` (a folder that all executors share)."""
     docs = slim(docs)
     ranged = docs.repartitionByRange(parts(docs, part_bytes), "doc_id").sortWithinPartitions("doc_id", "text")
-    ranged.mapInArrow(_encode(tokenizer, end_id, segment_bytes), _SEGMENT).write.parquet(path)
+    coded = ranged.mapInArrow(_encode(tokenizer, end_id, segment_bytes), _SEGMENT)
+    coded.write.option("compression", "uncompressed").option("parquet.enable.dictionary", "false").option("parquet.block.size", 1 << 20).option("parquet.page.size", 1 << 18).parquet(path)
     return path
 
 
@@ -142,11 +144,25 @@ def _pick(batches):
             yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(got.astype(np.int64))], names=["position", "id"])
 
 
-def token_lookup(spark: SparkSession, path: str, positions: DataFrame) -> DataFrame:
-    """(position, id) for global token positions (column position): one range join to segments, then rank lookups."""
-    seg = manifest(spark, path).join(spark.read.parquet(path), ["part", "seq"])
-    hit = seg.join(positions.select("position"), (F.col("position") >= F.col("base")) & (F.col("position") < F.col("base") + F.col("n_tokens")))
-    return hit.groupBy("part", "seq").agg(F.first("base").alias("base"), *(F.first(c).alias(c) for c in ("chunks", "bits", "ranks")), F.collect_list("position").alias("at")).mapInArrow(_pick, "position long, id long")
+def token_lookup(spark: SparkSession, path: str, positions: DataFrame, stretch: int = 1 << 18, few: int = 2000) -> DataFrame:
+    """(position, id) for global token positions (column position).  Positions meet the manifest by stretches of `stretch` tokens; up to `few`
+    segments are named in the scan's filter, so that only their row groups are read; more are joined."""
+    length = spark.read.parquet(path).select("part", "seq", "n_tokens")
+    spans = manifest(spark, path).join(length, ["part", "seq"]).where("n_tokens > 0")
+    spans = spans.withColumn("s", F.explode(F.sequence(F.floor(F.col("base") / stretch), F.floor((F.col("base") + F.col("n_tokens") - 1) / stretch))))
+    want = positions.select(F.col("position").cast("long").alias("position")).where("position >= 0").withColumn("s", F.floor(F.col("position") / stretch))
+    hit = spans.join(want, "s").where("position >= base and position < base + n_tokens").groupBy("part", "seq", "base").agg(F.collect_list("position").alias("at"))
+    seg = spark.read.parquet(path).select("part", "seq", "chunks", "bits", "ranks")
+    named = hit.select("part", "seq").limit(few + 1).collect()  # a bounded list
+    if len(named) <= few:
+        parts_of: dict[int, list[int]] = {}
+        for r in named:
+            parts_of.setdefault(r.part, []).append(r.seq)
+        wanted = F.lit(False)
+        for p, seqs in sorted(parts_of.items()):
+            wanted = wanted | ((F.col("part") == p) & F.col("seq").isin(seqs))
+        seg = seg.where(wanted)
+    return seg.join(hit, ["part", "seq"]).select("base", "at", "chunks", "bits", "ranks").mapInArrow(_pick, "position long, id long")
 
 
 def op1_token_file(spark: SparkSession, sf_dir: str) -> DataFrame:
