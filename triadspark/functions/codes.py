@@ -60,8 +60,44 @@ def flip_dir(code: Column) -> Column:
     return F.when(code == 3, 3).otherwise(3 - code).cast("int")
 
 
+#: ids from -MOST to MOST - 1 leave room for two direction bits
+MOST = 1 << 61
+
+
 def pack(nbr: Column, code: Column) -> Column:
-    return F.shiftleft(nbr.cast("long"), 2).bitwiseOR(code.cast("long"))
+    """neighbour * 4 + code; an error for ids that two bits cannot be added to."""
+    id_ = nbr.cast("long")
+    return F.when(id_.between(-MOST, MOST - 1), F.shiftleft(id_, 2).bitwiseOR(code.cast("long"))).otherwise(
+        F.raise_error(F.concat(F.lit("id needs more than 62 bits, relabel the graph first: "), id_.cast("string"))).cast("long"))
+
+
+def is_out(code: Column) -> Column:
+    """The first vertex sends to the second."""
+    return code.bitwiseAND(F.lit(1)) != 0
+
+
+def is_in(code: Column) -> Column:
+    return code.bitwiseAND(F.lit(2)) != 0
+
+
+def is_mutual(code: Column) -> Column:
+    return code == 3
+
+
+def find_dir(packed: Column, nbr: Column) -> Column:
+    """Direction code of nbr in a sorted packed run, 0 where it is no neighbour: binary search, so about log2 of the run's length reads."""
+    want = F.shiftleft(nbr.cast("long"), 2)
+    start = F.struct(F.lit(0).alias("lo"), F.size(packed).alias("hi"))  # the first element that is not below lies in lo..hi
+
+    def halve(at: Column, _: Column) -> Column:
+        mid = F.floor((at["lo"] + at["hi"]) / 2).cast("int")
+        low = (at["lo"] < at["hi"]) & (F.get(packed, mid) < want)
+        high = (at["lo"] < at["hi"]) & (F.get(packed, mid) >= want)
+        return F.struct(F.when(low, mid + 1).otherwise(at["lo"]).alias("lo"), F.when(high, mid).otherwise(at["hi"]).alias("hi"))
+
+    rounds = F.sequence(F.lit(0), F.ceil(F.log2(F.size(packed) + F.lit(1))).cast("int"))
+    found = F.get(packed, F.aggregate(rounds, start, halve)["lo"])
+    return F.when(F.shiftright(found, 2) == nbr.cast("long"), found.bitwiseAND(F.lit(3).cast("long")).cast("int")).otherwise(0)
 
 
 def unpack_id(x: Column) -> Column:

@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.codes import FOLD, fold_code
+from ..functions.codes import CLOSED, FOLD, LABELS, fold_code
 from .census import census_scalable, matrix_counts, triangles
 from .graph import Digraph, both_ways, relabel
 
@@ -88,9 +90,15 @@ def _block_triangles(pdf: pd.DataFrame) -> pd.DataFrame:
     return pd.DataFrame({"no": no.astype(np.int32), "c": count[no]})
 
 
-def colour_counts(g: Digraph, colours: int = 8) -> DataFrame:
+def enough_colours(g: Digraph, block_pairs: int = 2_000_000) -> int:
+    """Colours for which a block holds about `block_pairs` pairs."""
+    return max(1, math.ceil(math.sqrt(3 * g.dyads.count() / block_pairs)))
+
+
+def colour_counts(g: Digraph, colours: int | None = None) -> DataFrame:
     """(no, c) of closed types: vertices are hashed to colours, a pair goes to each of the blocks its colours belong to, wedges never
-    leave their block.  A block holds about 3 p / colours^2 pairs."""
+    leave their block.  A block holds about 3 p / colours^2 pairs; without a number, colours follow from the number of pairs."""
+    colours = colours or enough_colours(g)
     hue = lambda x: F.pmod(F.xxhash64(x), F.lit(colours)).cast("int")
     d = g.dyads.select("lo", "hi", "dir", hue("lo").alias("cl"), hue("hi").alias("ch"))
     d = d.withColumn("third", F.explode(F.sequence(F.lit(0), F.lit(colours - 1)))).withColumn("s", F.array_sort(F.array("cl", "ch", "third")))
@@ -98,7 +106,7 @@ def colour_counts(g: Digraph, colours: int = 8) -> DataFrame:
     return d.groupBy("c1", "c2", "c3").applyInPandas(_block_triangles, "no int, c long").groupBy("no").agg(F.sum("c").alias("c"))
 
 
-def census_colour_blocks(g: Digraph, colours: int = 8) -> DataFrame:
+def census_colour_blocks(g: Digraph, colours: int | None = None) -> DataFrame:
     """The scalable census with triangles from colour blocks; for graphs whose wedges outgrow a shuffle."""
     return census_scalable(g, closed=colour_counts(g, colours))
 
@@ -110,6 +118,40 @@ def sample_dyads(g: Digraph, rate: float, seed: int = 42) -> Digraph:
 
 
 def census_sampled(g: Digraph, rate: float, seed: int = 42) -> DataFrame:
-    """Estimated census: triangles of sampled pairs over rate^3, everything else by exact degree sums.  Unbiased; wedges cost rate^2."""
-    seen = triangles(sample_dyads(g, rate, seed)).groupBy(fold_code(F.col("code")).alias("no")).agg(F.count("*").alias("c"))
-    return census_scalable(g, closed=seen.select("no", F.round(F.col("c") / rate**3).cast("long").alias("c")))
+    """Estimated census: triangles of sampled pairs over rate^3, everything else by exact degree sums.  Unbiased; wedges cost rate^2.
+
+    std_error: of closed types from the number of triangles and of triangles of one type that share a pair, T (1 / q^3 - 1) + 2 K (1 / q - 1), both
+    as estimated; of the others the sum of the closed types' errors with the weights they have in them, an upper bound."""
+    tri = triangles(sample_dyads(g, rate, seed)).withColumn("no", fold_code(F.col("code"))).persist()
+    seen = tri.groupBy("no").agg(F.count("*").alias("c"))
+    side = lambda a, b: F.struct(F.least(a, b).alias("lo"), F.greatest(a, b).alias("hi"))
+    per = tri.select("no", F.explode(F.array(side("t", "x"), side("t", "y"), side("x", "y"))).alias("p")).groupBy("no", "p").agg(F.count("*").alias("k"))
+    shared = per.groupBy("no").agg(F.sum(F.col("k") * (F.col("k") - 1) / 2).alias("k"))
+    var = F.col("c") / rate**3 * (1 / rate**3 - 1) + 2 * F.coalesce("k", F.lit(0.0)) / rate**5 * (1 / rate - 1)
+    found = {r.no: (round(r.c / rate**3), math.sqrt(max(r.v, 0.0))) for r in seen.join(shared, "no", "left").select("no", "c", var.alias("v")).collect()}  # 7 rows at most
+    tri.unpersist()
+    error = {x: found.get(LABELS.index(x) + 1, (0, 0.0))[1] for x in CLOSED}
+    weight = {"021D": {"030T": 1, "120D": 1}, "021U": {"030T": 1, "120U": 1}, "021C": {"030T": 1, "030C": 3, "120C": 1}, "111D": {"120D": 2, "120C": 1, "210": 1}, "111U": {"120U": 2, "120C": 1, "210": 1},
+              "201": {"210": 1, "300": 3}, "012": {"030T": 3, "030C": 3, "120D": 2, "120U": 2, "120C": 2, "210": 1}, "102": {"120D": 1, "120U": 1, "120C": 1, "210": 2, "300": 3}, "003": dict.fromkeys(CLOSED, 1)}
+    errors = [(x, round(error[x] if x in error else sum(w * error[y] for y, w in weight[x].items()), 6)) for x in LABELS]
+    spark = g.dyads.sparkSession
+    closed = spark.createDataFrame([(no, c) for no, (c, _) in found.items()], "no int, c long")
+    return census_scalable(g, closed=closed).join(F.broadcast(spark.createDataFrame(errors, "triad_type string, std_error double")), "triad_type")
+
+
+def small_graph_census(g: Digraph, most: int = 20_000) -> DataFrame:
+    """The census of many small graphs, one a key: triangles of a key's pairs in one kernel call; keys with more than `most` pairs go the relational way."""
+    size = g.dyads.groupBy(*g.keys).agg(F.count("*").alias("_p"))
+    sized = g.dyads.join(size, g.keys)
+    schema = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in g.dyads.schema if f.name in g.keys) + ", no int, c long"
+
+    def count(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
+        out = _block_triangles(pdf.assign(cl=0, ch=0, c1=0, c2=0, c3=0))
+        for i, k in enumerate(g_keys):
+            out.insert(i, k, pd.Series([key[i]] * len(out), dtype=pdf[k].dtype))
+        return out
+
+    g_keys = list(g.keys)
+    small = sized.where(F.col("_p") <= most).drop("_p").groupBy(*g.keys).applyInPandas(count, schema)
+    large = triangles(Digraph(sized.where(F.col("_p") > most).drop("_p"), g.sizes, g.keys)).groupBy(*g.keys, fold_code(F.col("code")).alias("no")).agg(F.count("*").alias("c"))
+    return census_scalable(g, closed=small.unionByName(large))

@@ -4,11 +4,13 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+import pyarrow.compute as pc
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.codes import CLOSED, FOLD, LABELS, canonical, flip_dir, fold_code, triad_code, triad_total, type_label, unpack_id
-from .graph import Digraph, both_ways, degrees, packed_adjacency, relabel
+from ..functions.codes import CLOSED, FOLD, LABELS, canonical, find_dir, flip_dir, fold_code, is_mutual, pack, triad_code, triad_total, type_label, unpack_id
+from .graph import Digraph, both_ways, degrees, dense, packable, packed_adjacency, relabel
+from .keep import keep
 from .layout import weighted_units
 
 BIG = "decimal(38,0)"
@@ -35,6 +37,15 @@ def triangles(g: Digraph) -> DataFrame:
     return w.join(g.dyads.withColumnsRenamed({"lo": "x", "hi": "y"}), [*g.keys, "x", "y"]).select(*g.keys, "t", "x", "y", triad_code(F.col("cx"), F.col("cy"), F.col("dir")).alias("code"))
 
 
+def ordered_triangles(g: Digraph) -> DataFrame:
+    """(u, v, w, code) with u<v<w and the state in that order."""
+    t = triangles(g)
+    tx, ty, xy = (F.shiftright("code", k).bitwiseAND(F.lit(3)).cast("int") for k in (0, 2, 4))
+    low, mid = F.col("t") < F.col("x"), F.col("t") < F.col("y")
+    code = F.when(low, F.col("code")).when(mid, triad_code(flip_dir(tx), xy, ty)).otherwise(triad_code(xy, flip_dir(tx), flip_dir(ty)))
+    return t.select(F.least("t", "x").alias("u"), F.when(low, F.col("x")).when(mid, F.col("t")).otherwise(F.col("y")).alias("v"), F.greatest("t", "y").alias("w"), code.cast("int").alias("code"))
+
+
 def census_scalable(g: Digraph, closed: DataFrame | None = None) -> DataFrame:
     """Only triangles are enumerated; open, dyadic and null triads follow from degrees.  closed(keys, no, c): their counts from elsewhere."""
     k = g.keys
@@ -101,17 +112,31 @@ def _with_runs(g: Digraph) -> DataFrame:
     return g.dyads.join(adj.select(F.col("id").alias("lo"), F.col("packed").alias("pu"), F.col("deg").alias("du")), "lo").join(adj.select(F.col("id").alias("hi"), F.col("packed").alias("pv"), F.col("deg").alias("dv")), "hi")
 
 
+def _pair_totals(g: Digraph) -> DataFrame:
+    """(u, v, triad_no, c): n - 2 per adjacent pair, from which the size of its union is still to be taken."""
+    return g.dyads.crossJoin(F.broadcast(g.sizes)).select(F.col("lo").alias("u"), F.col("hi").alias("v"), F.when(is_mutual(F.col("dir")), 3).otherwise(2).alias("triad_no"), (F.col("n") - 2).alias("c"))
+
+
 def _edge_set(g: Digraph) -> DataFrame:
-    """Builds the union of both neighbour lists as an array, then tests each third node."""
+    """Builds the union of both neighbour lists as an array, then looks each third node up in both runs."""
     ids = lambda c: F.transform(c, lambda x: unpack_id(x))
     x = _with_runs(g).withColumn("s", F.array_except(F.array_union(ids("pu"), ids("pv")), F.array("lo", "hi")))
-    n = F.broadcast(g.sizes)
-    dyadic = x.crossJoin(n).select(F.col("lo").alias("u"), F.col("hi").alias("v"), F.when(F.col("dir") == 3, 3).otherwise(2).alias("triad_no"), (F.col("n") - F.size("s") - 2).alias("c"))
-    code_of = lambda run, w: F.coalesce(F.get(F.filter(F.transform(run, lambda y: y - w * 4), lambda y: y.between(1, 3)), 0), F.lit(0)).cast("int")
-    y = x.select("lo", "hi", "dir", "pu", "pv", F.explode("s").alias("w"))
-    y = y.withColumns({"uw": code_of(F.col("pu"), F.col("w")), "vw": code_of(F.col("pv"), F.col("w"))}).where(canonical(F.col("lo"), F.col("hi"), F.col("w"), F.col("uw") > 0))
-    conn = y.select(F.col("lo").alias("u"), F.col("hi").alias("v"), fold_code(triad_code(F.col("dir"), F.col("uw"), F.col("vw"))).alias("triad_no"), F.lit(1).cast("long").alias("c"))
-    return dyadic.unionByName(conn)
+    dyadic = x.select(F.col("lo").alias("u"), F.col("hi").alias("v"), F.when(is_mutual(F.col("dir")), 3).otherwise(2).alias("triad_no"), (-F.size("s")).cast("long").alias("c"))
+    third = F.transform("s", lambda w: F.struct(w.alias("w"), find_dir(F.col("pu"), w).alias("uw"), find_dir(F.col("pv"), w).alias("vw")))
+    kept = F.filter(third, lambda t: canonical(F.col("lo"), F.col("hi"), t["w"], t["uw"] > 0))
+    y = x.select("lo", "hi", "dir", F.explode(kept).alias("t"))
+    conn = y.select(F.col("lo").alias("u"), F.col("hi").alias("v"), fold_code(triad_code(F.col("dir"), F.col("t.uw"), F.col("t.vw"))).alias("triad_no"), F.lit(1).cast("long").alias("c"))
+    return _pair_totals(g).unionByName(dyadic).unionByName(conn)
+
+
+def _run_pieces(g: Digraph, most: int) -> DataFrame:
+    """(lo, hi, dir, pu, pv): both runs of every pair, cut by ranges of third nodes so that no row holds more than `most` of either.  Pieces
+    of one range meet, a range that one end has no neighbour in has a null run."""
+    span = F.floor(unpack_id(F.col("x")) / most).alias("k")
+    each = both_ways(g).select("id", pack(F.col("nbr"), F.col("code")).alias("x")).withColumn("k", span)
+    runs = each.groupBy("id", "k").agg(F.sort_array(F.collect_list("x")).alias("run"))
+    side = lambda end, name: g.dyads.join(runs.select(F.col("id").alias(end), "k", F.col("run").alias(name)), end)
+    return side("lo", "pu").join(side("hi", "pv"), ["lo", "hi", "dir", "k"], "full").drop("k")
 
 
 def _merge_kernel(batches):
@@ -119,10 +144,10 @@ def _merge_kernel(batches):
     fold = np.array(FOLD)
     for b in batches:
         n = b.num_rows
-        lo, hi, dr, tot = (b[c].to_numpy() for c in ("lo", "hi", "dir", "n"))
+        lo, hi, dr = (b[c].to_numpy() for c in ("lo", "hi", "dir"))
         pair, key = [], []
         for c in ("pu", "pv"):
-            arr = b[c]
+            arr = pc.fill_null(b[c], pa.scalar([], b[c].type))
             pair.append(np.repeat(np.arange(n), np.diff(arr.offsets.to_numpy())))
             key.append(arr.flatten().to_numpy())
         row = np.concatenate(pair)
@@ -144,13 +169,16 @@ def _merge_kernel(batches):
         ok = (w > hi[r]) | ((w > lo[r]) & (w < hi[r]) & (uw == 0))
         t = fold[dr[r[ok]] + 4 * uw[ok] + 16 * vw[ok]]
         grid = np.bincount(r[ok] * 17 + t, minlength=n * 17).reshape(n, 17)
-        np.add.at(grid, (np.arange(n), np.where(dr == 3, 3, 2)), tot - size - 2)
+        np.add.at(grid, (np.arange(n), np.where(dr == 3, 3, 2)), -size)
         i, j = np.nonzero(grid)
         yield pa.RecordBatch.from_arrays([pa.array(lo[i]), pa.array(hi[i]), pa.array(j.astype(np.int32)), pa.array(grid[i, j])], names=["u", "v", "triad_no", "c"])
 
 
-def census_edge_driven(g: Digraph, union: str = "join", slots: int = 64, balance: str = "collapsed", parts: int | None = None) -> DataFrame:
-    """union: set (explicit union array), merge (sorted runs in a kernel), join (relational).  balance: outer, collapsed or weighted task units."""
+def census_edge_driven(g: Digraph, union: str = "join", slots: int = 64, balance: str = "collapsed", parts: int | None = None, piece: int = 1 << 16) -> DataFrame:
+    """union: set (explicit union array), merge (sorted runs in a kernel), join (relational).  balance: outer, collapsed or weighted task units.
+
+    set and merge pack ids with their direction bits, so a graph whose ids leave no room for them goes through ranks first; merge cuts runs into
+    ranges of `piece` third nodes where an id is far from the others or a run may be longer."""
     if union == "join":
         t = connected_triads(g)
         conn = t.select("u", "v", fold_code(F.col("code")).alias("triad_no"), F.lit(1).cast("long").alias("c"))
@@ -159,15 +187,24 @@ def census_edge_driven(g: Digraph, union: str = "join", slots: int = 64, balance
         dy = dyadic_counts(g, ends, per).select(F.col("lo").alias("u"), F.col("hi").alias("v"), "triad_no", "c")
         rows = conn.unionByName(dy)
     elif union == "set":
-        rows = _edge_set(g)
+        rows = _edge_set(packable(g))
     else:
+        g = packable(g)
+        g = Digraph(keep(g.dyads, "dyads"), g.sizes, g.keys, g.vertices)
         n = parts or int(g.dyads.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-        x = _with_runs(g).crossJoin(F.broadcast(g.sizes)).select("lo", "hi", "dir", "pu", "pv", "n")
+        longest = degrees(g).agg(F.max("d").alias("d")).first().d or 0  # one row
+        if longest > piece:
+            g = dense(g)[0]
+            x = _run_pieces(g, piece)
+        else:
+            x = _with_runs(g).select("lo", "hi", "dir", "pu", "pv")
+        size = F.coalesce(F.size("pu"), F.lit(0)) + F.coalesce(F.size("pv"), F.lit(0))
         if balance == "weighted":
-            x = weighted_units(x, n, ["lo"], "hi", F.size("pu") + F.size("pv")).repartitionById(n, "unit").drop("unit")
+            unit = weighted_units(g.dyads.join(x.groupBy("lo", "hi").agg(F.sum(size).alias("work")), ["lo", "hi"]), n, ["lo"], "hi", F.col("work")).select("lo", "hi", "unit")
+            x = x.join(unit, ["lo", "hi"]).repartitionById(n, "unit").drop("unit")
         else:
             x = x.repartition(n, "lo") if balance == "outer" else x.repartition(n, "lo", "hi")
-        rows = x.mapInArrow(_merge_kernel, "u long, v long, triad_no int, c long")
+        rows = _pair_totals(g).unionByName(x.mapInArrow(_merge_kernel, "u long, v long, triad_no int, c long"))
     return _finish(g, accumulate(rows, slots=slots))
 
 
@@ -180,14 +217,30 @@ def dyadic_counts(g: Digraph, ends: DataFrame, common: DataFrame) -> DataFrame:
 # ---------------------------------------------------------------- matrix and naive forms
 
 def census_matrix(g: Digraph) -> DataFrame:
-    """Products of class matrices in coordinate form: paths i-k-j by classes, met with the class of (i, j)."""
-    s = both_ways(g)
-    cls = F.element_at(F.array(F.lit("C"), F.lit("R"), F.lit("M")), F.col("code"))
-    e = s.select(F.col("id").alias("i"), F.col("nbr").alias("j"), cls.alias("c"))
-    prod = (e.select(F.col("i"), F.col("j").alias("k"), F.col("c").alias("x")).join(e.select(F.col("i").alias("k"), "j", F.col("c").alias("y")), "k").where("i <> j")
-            .groupBy("i", "j", "x", "y").agg(F.count("*").alias("p")).join(e.withColumnRenamed("c", "z"), ["i", "j"], "left"))
-    tot = prod.groupBy(F.concat("x", "y", F.coalesce("z", F.lit("Z"))).alias("k")).agg(F.sum("p").cast("long").alias("p"))
-    return matrix_counts(g, tot)
+    """Products of class matrices, masked: an entry (i, j) of a product is only summed path by path where (i, j) is adjacent, which is to say on
+    triangles; all other entries together are the product of the classes' counts at each centre, less those and less the diagonal."""
+    C_, R_, M_ = "CRM"
+    seen = triangles(g).groupBy("code").agg(F.count("*").alias("c"))
+    name = {1: C_, 2: R_, 3: M_}
+    flip = {1: 2, 2: 1, 3: 3}
+    paths = []
+    for code in range(64):
+        t, x, y = code & 3, (code >> 2) & 3, code >> 4  # pairs 01, 02, 12
+        if t and x and y:
+            d = {(0, 1): t, (0, 2): x, (1, 2): y}
+            d |= {(b, a): flip[c] for (a, b), c in list(d.items())}
+            paths += [(code, name[d[i, k]] + name[d[k, j]] + name[d[i, j]]) for i in range(3) for k in range(3) for j in range(3) if len({i, j, k}) == 3]
+    table = g.dyads.sparkSession.createDataFrame(paths, "code int, k string")  # six paths for each of 27 states
+    closed = seen.join(F.broadcast(table), "code").groupBy("k").agg(F.sum("c").cast(BIG).alias("p"))
+    # from the centre: arrivals of class C are its in-only neighbours, departures of class C its out-only ones
+    into, out = {C_: "b", R_: "a", M_: "m"}, {C_: "a", R_: "b", M_: "m"}
+    back = {C_: R_, R_: C_, M_: M_}
+    big = lambda c: F.col(c).cast("decimal(18,0)")
+    sums = {p + q: F.sum((big(into[p]) * big(out[q]) - (big(into[p]) if back[p] == q else F.lit(0))).cast(BIG)) for p in "CRM" for q in "CRM"}
+    every = degrees(g).agg(*(v.alias(k) for k, v in sums.items())).select(F.explode(F.array(*(F.struct(F.lit(k).alias("pq"), F.col(k).alias("all")) for k in sums))).alias("r")).select("r.*")
+    met = closed.groupBy(F.substring("k", 1, 2).alias("pq")).agg(F.sum("p").alias("p"))
+    apart = every.join(F.broadcast(met), "pq", "left").select(F.concat("pq", F.lit("Z")).alias("k"), (F.coalesce("all", F.lit(0)) - F.coalesce("p", F.lit(0))).cast(BIG).alias("p"))
+    return matrix_counts(g, closed.unionByName(apart))
 
 
 def matrix_counts(g: Digraph, tot: DataFrame) -> DataFrame:
@@ -223,18 +276,35 @@ def census_naive(g: Digraph, max_n: int = 400) -> DataFrame:
 
 
 def census64(g: Digraph) -> DataFrame:
-    """(code, n_triads) for all 64 states under the vertex order: connected ones by enumeration, one-pair ones by ranks less the
-    third nodes that are adjacent, null by subtraction."""
-    t = connected_triads(g)
-    conn = t.groupBy("code").agg(F.count("*").cast(BIG).alias("c"))
-    pos = lambda a, b, third, bits: F.when(F.col("code").bitwiseAND(F.lit(bits)) != 0, F.struct(F.col(a).alias("lo"), F.col(b).alias("hi"), F.lit(third).alias("third")))
-    near = t.select(F.explode(F.array_compact(F.array(pos("u", "v", "above", 3), pos("u", "w", "between", 12), pos("v", "w", "below", 48)))).alias("p")).groupBy("p.lo", "p.hi").pivot("p.third", ["below", "between", "above"]).count()
-    r = relabel(g.vertices)
-    x = g.dyads.join(r.toDF("lo", "rl"), "lo").join(r.toDF("hi", "rh"), "hi").join(near, ["lo", "hi"], "left").crossJoin(F.broadcast(g.sizes))
-    z = lambda c: F.coalesce(F.col(c), F.lit(0))
-    cells = F.explode(F.array(F.struct((F.col("dir") * 16).alias("code"), (F.col("rl") - z("below")).alias("c")), F.struct((F.col("dir") * 4).alias("code"), (F.col("rh") - F.col("rl") - 1 - z("between")).alias("c")), F.struct(F.col("dir").alias("code"), (F.col("n") - 1 - F.col("rh") - z("above")).alias("c"))))
-    one = x.select(cells.alias("e")).groupBy("e.code").agg(F.sum("e.c").cast(BIG).alias("c"))
-    some = conn.unionByName(one)
+    """(code, n_triads) for all 64 states under the vertex order; only triangles are enumerated.
+
+    Two-pair states come from each centre's run in ascending order: products of its lower and higher neighbours by code, and running counts
+    of codes before each neighbour on the same side.  One-pair states come from ranks and places in the runs of a pair's ends.  Both count
+    every closed triad as if its other pairs were missing, which the triangles set right; null triads are what is left of the total."""
+    f = lambda c: F.when(c == 3, 3).otherwise(3 - c)
+    run = Window.partitionBy("id").orderBy("nbr")
+    before, whole = run.rowsBetween(Window.unboundedPreceding, -1), Window.partitionBy("id")
+    s = both_ways(g).withColumn("above", F.col("nbr") > F.col("id"))
+    s = s.withColumns({"pos": F.row_number().over(run) - 1, "d": F.count("*").over(whole), "low": F.count_if(~F.col("above")).over(whole),
+                       **{f"r{p}": F.count_if((F.col("code") == p)).over(before) for p in (1, 2, 3)}, **{f"l{p}": F.count_if((F.col("code") == p) & ~F.col("above")).over(whole) for p in (1, 2, 3)}})
+    s = s.join(relabel(g.vertices), "id").crossJoin(F.broadcast(g.sizes))
+    above, c, d, low, pos, r = (F.col(x) for x in ("above", "code", "d", "low", "pos", "rank"))
+    cell = lambda code, n: F.struct(code.cast("int").alias("code"), n.cast("decimal(20,0)").alias("n"))
+    two = []
+    for p in (1, 2, 3):
+        same = F.coalesce(F.col(f"r{p}"), F.lit(0)) - F.when(above, F.col(f"l{p}")).otherwise(0)
+        q = 3 if p == 3 else 3 - p  # the same pair seen from the neighbour
+        two.append(cell(F.when(above, p + 4 * c).otherwise(4 * q + 16 * f(c)), same))
+        two.append(cell(F.when(above, q + 16 * c).otherwise(F.lit(0)), F.when(above, F.col(f"l{p}")).otherwise(0)))
+    here = F.when(above, c).otherwise(f(c))  # the pair from its smaller end
+    one = [cell(16 * here, F.when(above, r - low).otherwise(-pos)),
+           cell(4 * here, F.when(above, -r - 1 - (pos - low)).otherwise(r - (low - pos - 1))),
+           cell(here, F.when(above, -(d - pos - 1)).otherwise(F.col("n") - 1 - r - (d - low)))]
+    open_ = s.select(F.explode(F.array(*two, *one)).alias("e")).groupBy("e.code").agg(F.sum("e.n").cast(BIG).alias("c"))
+    tri = ordered_triangles(g).groupBy("code").agg(F.count("*").cast(BIG).alias("c"))
+    bits = lambda *keep: F.col("code").bitwiseAND(F.lit(sum(3 << (2 * k) for k in keep)))
+    fix = [F.struct(F.col("code"), F.col("c"))] + [F.struct(bits(*k).alias("code"), (-F.col("c")).cast(BIG).alias("c")) for k in ((0, 1), (0, 2), (1, 2))] + [F.struct(bits(k).alias("code"), F.col("c")) for k in range(3)]
+    some = open_.unionByName(tri.select(F.explode(F.array(*fix)).alias("e")).select("e.*")).where("code > 0").groupBy("code").agg(F.sum("c").cast(BIG).alias("c"))
     null = g.sizes.crossJoin(F.broadcast(some.agg(F.coalesce(F.sum("c"), F.lit(0)).alias("s")))).select(F.lit(0).alias("code"), (triad_total(F.col("n")) - F.col("s")).cast(BIG).alias("c"))
     all_codes = g.dyads.sparkSession.range(64).select(F.col("id").cast("int").alias("code"))
     return all_codes.join(some.unionByName(null), "code", "left").select("code", F.coalesce("c", F.lit(0)).cast(BIG).alias("n_triads"))
@@ -252,15 +322,38 @@ def cost_model(g: Digraph) -> DataFrame:
     return g.sizes.crossJoin(F.broadcast(g.dyads.agg(F.count("*").alias("pairs")))).crossJoin(F.broadcast(d)).crossJoin(F.broadcast(o))
 
 
+def planned_method(g: Digraph, wedges_a_pair: int = 200, dense_share: float = 0.1, least_n: int = 2000) -> str:
+    """The method whose cost is least by `cost_model`: tiles where a large share of all pairs is adjacent, colour blocks where wedges would be
+    many times the pairs that a shuffle holds, else the scalable form."""
+    c = cost_model(g).first()  # one row
+    if c.n >= least_n and c.pairs >= dense_share * c.n * (c.n - 1) / 2:
+        return "matrix_blocks"
+    return "colour_blocks" if (c.ordered_wedges or 0) > wedges_a_pair * max(c.pairs, 1) else "scalable"
+
+
 def census(g: Digraph, method: str = "auto", **more) -> DataFrame:
-    """The 16-type census; auto is the scalable method, exact on every graph."""
-    return {"auto": census_scalable, "scalable": census_scalable, "edge_driven": census_edge_driven, "matrix": census_matrix, "naive": census_naive}[method](g, **more)
+    """The 16-type census, exact by every method; auto asks `planned_method`, but for many graphs at once, which are left to the scalable form."""
+    from . import blocks
 
+    forms = {"scalable": census_scalable, "edge_driven": census_edge_driven, "matrix": census_matrix, "naive": census_naive, "matrix_blocks": blocks.census_matrix_blocks, "colour_blocks": blocks.census_colour_blocks}
+    return forms[method if method != "auto" else "scalable" if g.keys or more else planned_method(g)](g, **more)
 
-def list_triads(g: Digraph, types: list[str]) -> DataFrame:
-    """(u, v, w, triad_type) of the connected types asked for; closed types alone enumerate triangles only."""
-    if set(types) <= set(CLOSED):
-        t = triangles(g).select(F.array_sort(F.array("t", "x", "y")).alias("s"), fold_code(F.col("code")).alias("no")).select(F.col("s")[0].alias("u"), F.col("s")[1].alias("v"), F.col("s")[2].alias("w"), type_label(F.col("no")).alias("triad_type"))
-    else:
-        t = connected_triads(g).select("u", "v", "w", type_label(fold_code(F.col("code"))).alias("triad_type"))
-    return t.where(F.col("triad_type").isin(*types))
+
+def census_vector(c: DataFrame, keys: list[str] | None = None) -> DataFrame:
+    """(keys, counts): the 16 counts as one array in the order of the types."""
+    cells = F.sort_array(F.collect_list(F.struct("triad_no", F.col("n_triads").cast(BIG).alias("n"))))
+    return c.groupBy(*(keys or [])).agg(cells.alias("v")).select(*(keys or []), F.transform("v", lambda x: x["n"]).alias("counts"))
+
+
+def census_merge(vectors: DataFrame, keys: list[str] | None = None) -> DataFrame:
+    """Adds census vectors place by place: (keys, counts)."""
+    keys = keys or []
+    each = vectors.select(*keys, F.posexplode("counts").alias("p", "n")).groupBy(*keys, "p").agg(F.sum("n").cast(BIG).alias("n"))
+    return each.groupBy(*keys).agg(F.sort_array(F.collect_list(F.struct("p", "n"))).alias("v")).select(*keys, F.transform("v", lambda x: x["n"]).alias("counts"))
+
+
+def list_triads(g: Digraph, types: list[str], limit: int | None = None) -> DataFrame:
+    """(u, v, w, triad_type) of the connected types asked for; closed types alone enumerate triangles only.  limit: the first ones by u, v, w."""
+    t = ordered_triangles(g) if set(types) <= set(CLOSED) else connected_triads(g)
+    t = t.select("u", "v", "w", type_label(fold_code(F.col("code"))).alias("triad_type")).where(F.col("triad_type").isin(*types))
+    return t if limit is None else t.orderBy("u", "v", "w").limit(limit)

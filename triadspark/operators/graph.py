@@ -7,7 +7,8 @@ from dataclasses import dataclass, field
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.codes import flip_dir, pack
+from ..functions.codes import MOST, flip_dir, pack
+from .keep import keep
 
 
 @dataclass
@@ -57,19 +58,44 @@ def degrees(g: Digraph) -> DataFrame:
 
 
 def packed_adjacency(g: Digraph) -> DataFrame:
-    """(keys, id, deg, packed): sorted neighbours with two direction bits each."""
+    """(keys, id, deg, packed): sorted neighbours with two direction bits each.  Ids beyond 62 bits raise an error: see `dense`."""
     return both_ways(g).groupBy(*g.keys, "id").agg(F.count("*").cast("int").alias("deg"), F.sort_array(F.collect_list(pack(F.col("nbr"), F.col("code")))).alias("packed"))
 
 
 def relabel(vertices: DataFrame, parts: int | None = None) -> DataFrame:
-    """(id, rank): dense 0-based ranks in id order; ranges first, then one offset a range, so no window spans all vertices."""
+    """(id, rank): dense 0-based ranks in the order of ids of any kind; ranges first, then one offset a range, so no window spans all vertices."""
     n = parts or int(vertices.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    r = vertices.select("id").distinct().repartitionByRange(n, "id").withColumn("part", F.spark_partition_id())
-    # the part is derived again from bounds, since a shuffle below may deal rows anew
-    tot = r.groupBy("part").agg(F.count("*").alias("c"), F.min("id").alias("low"), F.max("id").alias("high"))
-    off = tot.select("low", "high", (F.sum("c").over(Window.orderBy("low")) - F.col("c")).alias("off"))
-    placed = vertices.select("id").distinct().join(F.broadcast(off), F.col("id").between(F.col("low"), F.col("high")))
-    return placed.select("id", (F.col("off") + F.row_number().over(Window.partitionBy("low").orderBy("id")) - 1).alias("rank"))
+    r = keep(vertices.select("id").distinct().repartitionByRange(n, "id").withColumn("part", F.spark_partition_id()), "ranges")
+    off = r.groupBy("part").agg(F.count("*").alias("c")).select("part", (F.sum("c").over(Window.orderBy("part")) - F.col("c")).alias("off"))  # one row a range
+    return r.join(F.broadcast(off), "part").select("id", (F.col("off") + F.row_number().over(Window.partitionBy("part").orderBy("id")) - 1).cast("long").alias("rank"))
+
+
+def dense(g: Digraph) -> tuple[Digraph, DataFrame]:
+    """The graph on ranks instead of ids (in the same order), and the names (id, rank)."""
+    names = keep(relabel(g.vertices), "names")
+    lo, hi = names.toDF("lo", "rl"), names.toDF("hi", "rh")
+    d = g.dyads.join(lo, "lo").join(hi, "hi").select(F.col("rl").alias("lo"), F.col("rh").alias("hi"), "dir")
+    return Digraph(d, g.sizes, [], names.select(F.col("rank").alias("id"))), names
+
+
+def with_labels(df: DataFrame, names: DataFrame, columns: list[str]) -> DataFrame:
+    """df with the ranks in `columns` replaced by the ids they stand for."""
+    for c in columns:
+        df = df.join(names.select(F.col("rank").alias(c), F.col("id").alias("_id")), c).withColumn(c, F.col("_id")).drop("_id")
+    return df
+
+
+def fits_packing(g: Digraph) -> bool:
+    """Whether all ids are integers that two direction bits can be added to."""
+    if dict(g.dyads.dtypes)["lo"] not in ("tinyint", "smallint", "int", "bigint"):
+        return False
+    r = g.dyads.agg(F.min("lo").alias("a"), F.max("hi").alias("b")).first()  # one row
+    return r.a is None or (r.a >= -MOST and r.b < MOST)
+
+
+def packable(g: Digraph) -> Digraph:
+    """The graph itself if its ids can be packed, else the graph on ranks: for results that name no vertex."""
+    return g if fits_packing(g) else dense(g)[0]
 
 
 def to_csr(g: Digraph) -> tuple[DataFrame, DataFrame]:

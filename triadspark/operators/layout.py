@@ -7,16 +7,18 @@ import math
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from .keep import keep
+
 
 def running_totals(df: DataFrame, key: str, values: list[str], parts: int | None = None) -> DataFrame:
     """(key, before_<value>..): sums of all smaller keys; keys are unique.  Ranges of keys first, then one offset a range."""
     n = parts or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    ranged = df.repartitionByRange(n, key).withColumn("_part", F.spark_partition_id())
-    tot = ranged.groupBy("_part").agg(F.min(key).alias("_low"), F.max(key).alias("_high"), *(F.sum(v).alias(f"_t_{v}") for v in values))
-    ahead = Window.orderBy("_low").rowsBetween(Window.unboundedPreceding, -1)  # one row a range
-    off = tot.select("_low", "_high", *(F.coalesce(F.sum(f"_t_{v}").over(ahead), F.lit(0)).alias(f"_o_{v}") for v in values))
-    placed = df.join(F.broadcast(off), F.col(key).between(F.col("_low"), F.col("_high")))
-    inner = Window.partitionBy("_low").orderBy(key).rowsBetween(Window.unboundedPreceding, -1)
+    ranged = keep(df.select(key, *values).repartitionByRange(n, key).withColumn("_part", F.spark_partition_id()), "ranges")
+    tot = ranged.groupBy("_part").agg(*(F.sum(v).alias(f"_t_{v}") for v in values))
+    ahead = Window.orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)  # one row a range
+    off = tot.select("_part", *(F.coalesce(F.sum(f"_t_{v}").over(ahead), F.lit(0)).alias(f"_o_{v}") for v in values))
+    placed = ranged.join(F.broadcast(off), "_part")
+    inner = Window.partitionBy("_part").orderBy(key).rowsBetween(Window.unboundedPreceding, -1)
     return placed.select(key, *((F.col(f"_o_{v}") + F.coalesce(F.sum(v).over(inner), F.lit(0))).alias(f"before_{v}") for v in values))
 
 

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import os
+
 from pyspark.sql import functions as F
 
 from ..functions.codes import triad_total
@@ -14,6 +16,7 @@ from ..operators import measures as M
 from ..operators import participation as P
 from ..operators import relations as R
 from ..operators import temporal as T
+from ..operators.keep import temp_path
 from ..sources import store as S
 from ..sources import workloads as W
 from ..streaming import monitor as live
@@ -80,7 +83,7 @@ _add("list_mutual_triads_social", lambda s, d: C.list_triads(W.social_graph(s, d
 
 def _lateral(s, d):
     register_functions(s)
-    name = "pairs_" + S.os.urandom(4).hex()
+    name = "pairs_" + os.urandom(4).hex()
     C._with_runs(W.nation_graph(s, d)).createOrReplaceTempView(name)
     return s.sql(f"select lo as u, hi as v, t.w, t.triad_type from {name}, lateral triads_of(lo, hi, dir, pu, pv) t")
 
@@ -183,7 +186,7 @@ _add("census_ratios_traffic", lambda s, d: T.census_ratios(_long(base._daily(s,
 
 def stream_daily_census(s, d):
     """The live monitor over the events table as a stream, run to its end; the last day stays open."""
-    out = S.temp_path(s, "monitor")
+    out = temp_path(s, "monitor")
     schema = W.load(s, d, "events").schema
     x = live.read_interactions(s, f"{d}/events*.parquet", schema).select("ts", F.col("user_id").alias("src"), F.get_json_object("props", "$.k").cast("long").alias("dst")).where("dst is not null")
     live.monitor_stream(x, out, n=_universe(s, d)).awaitTermination()
@@ -208,9 +211,10 @@ SQL["properties_social"] = f"select round(sum(n_triads * mu) / sum(n_triads * (m
 _drift = f"""{base._shares}, tr as (select win_start, triad_type, share, total, round(share - lag(share) over o, 9) as change, avg(share) over t as mean, stddev_samp(share) over t as dev, count(share) over t as history, avg(n_triads::double) over t as mean_n
   from s2 window o as (partition by triad_type order by win_start), t as (partition by triad_type order by win_start rows between 7 preceding and 1 preceding)),
 dr as (select win_start, triad_type, share, change, history, round((share - mean) / greatest(coalesce(dev, 0), sqrt(greatest(coalesce(mean_n, 1), 1)) / greatest(total, 1)), 6) as z from tr)"""
-_members = "pt as (select * from (values " + ", ".join(f"('{p}', '{t}')" for p, t, _ in T.PATTERNS) + ") as x(pattern, triad_type)), "
+_members = "pt as (select * from (values " + ", ".join(f"('{p}', '{t}', '{m}')" for p, t, _, m in T.PATTERNS) + ") as x(pattern, triad_type, member)), "
 SQL["daily_drift_traffic"] = f"with {_drift} select * from dr"
-SQL["pattern_scores_traffic"] = f"with {_members}{_drift} select win_start, pattern, round(min(z), 6) as score, min(history) as history from dr join pt using (triad_type) group by 1, 2"
+_drift_m = _drift + ", mb as (select win_start, pattern, member, max(z) as z, min(history) as history from dr join pt using (triad_type) group by 1, 2, 3)"
+SQL["pattern_scores_traffic"] = f"with {_members}{_drift_m} select win_start, pattern, round(min(z), 6) as score, min(history) as history from mb group by 1, 2"
 SQL["alerts_traffic"] = f"with {_members}{_drift} select win_start, pattern, round(max(z), 6) as score from dr join pt using (triad_type) group by 1, 2 having min(history) >= 5 and round(max(z), 6) >= 3"
 _web = f"with {base.BEFORE['web']}a0 as ({ARCS['web']}), d as (select src, count(distinct dst) as degree from a0 where src <> dst group by 1), h as (select degree, count(*) as n_vertices from d group by 1) "
 SQL["powerlaw_web"] = _web + "select round(-regr_slope(ln(n_vertices), ln(degree)), 6) as loglog, round(1 + sum(n_vertices) / sum(n_vertices * ln(degree / 0.5)), 6) as mle from h"

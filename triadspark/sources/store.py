@@ -2,19 +2,12 @@
 
 from __future__ import annotations
 
-import os
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
 from ..operators.graph import Digraph
-
-
-def shared_folder(spark: SparkSession) -> str:
-    """spark.checkpoint.dir, which driver and executors share; an own folder only where it is unset."""
-    at = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    return (at or "/tmp/checkpoints").rstrip("/")
+from ..operators.keep import temp_path
 
 
 def save_graph(g: Digraph, path: str, parts: int = 64) -> None:
@@ -93,7 +86,3 @@ def event_log_utilisation(spark: SparkSession, path: str, cores: int, every: int
     x = t.withColumn("at", F.explode(F.sequence(F.floor(F.col("a") / every) * every, F.floor(F.col("b") / every) * every, F.lit(every).cast("long"))))
     share = F.when(F.col("b") > F.col("a"), (F.least("b", F.col("at") + every) - F.greatest("a", F.col("at"))) / (F.col("b") - F.col("a"))).otherwise(1.0)
     return x.groupBy("at").agg(F.sum(F.col("cpu") * share).alias("cpu_seconds")).withColumn("utilisation", F.col("cpu_seconds") / (cores * every))
-
-
-def temp_path(spark: SparkSession, what: str) -> str:
-    return f"{shared_folder(spark)}/{what}-{os.urandom(8).hex()}"

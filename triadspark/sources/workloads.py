@@ -2,10 +2,10 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..operators.graph import Digraph, as_digraph
+from ..operators.graph import Digraph, as_digraph, dense
 
 
 def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -59,17 +59,18 @@ def web_arcs(spark, d):
     return out.unionByName(step.where("dst is not null")), p.select(F.col("page").alias("id"))
 
 
-def named_graph(arcs: DataFrame, vertices: DataFrame | None = None) -> Digraph:
-    """String ids to longs by hash of the name (64 bits), arcs stay distributed."""
-    code = lambda c: F.xxhash64(c)
+def named_graph(arcs: DataFrame, vertices: DataFrame | None = None) -> tuple[Digraph, DataFrame]:
+    """String ids to their ranks 0..n-1 through a table of the distinct names, so no two names can meet in one id; and that table (id, rank).
+    Pairs are merged under their names first, so only adjacent pairs are joined to it."""
     ends = arcs.select(F.explode(F.array("src", "dst")).alias("id"))
-    v = (ends if vertices is None else ends.unionByName(vertices)).distinct().select(code("id").alias("id"))
-    return as_digraph(arcs.select(code("src").alias("src"), code("dst").alias("dst")), v)
+    v = (ends if vertices is None else ends.unionByName(vertices)).distinct()
+    g, names = dense(as_digraph(arcs, v))
+    return Digraph(g.dyads, names.agg(F.count("*").alias("n")), [], g.vertices), names
 
 
 def web_graph(spark, d) -> Digraph:
     arcs, pages = web_arcs(spark, d)
-    return named_graph(arcs, pages)
+    return named_graph(arcs, pages)[0]
 
 
 def word_graph(spark, d, longest: int | None = None) -> Digraph:
@@ -77,12 +78,29 @@ def word_graph(spark, d, longest: int | None = None) -> Digraph:
     docs = load(spark, d, "documents")
     t = (docs if longest is None else docs.where(F.length("text") <= longest)).select(F.split(F.lower("text"), r"[^\p{L}]+").alias("w"))
     e = t.select(F.explode(F.arrays_zip(F.expr("slice(w, 1, greatest(size(w) - 1, 0))").alias("s"), F.expr("slice(w, 2, greatest(size(w) - 1, 0))").alias("t"))).alias("e"))
-    return named_graph(e.select(F.col("e.s").alias("src"), F.col("e.t").alias("dst")).where("src <> '' and dst <> ''"))
+    return named_graph(e.select(F.col("e.s").alias("src"), F.col("e.t").alias("dst")).where("src <> '' and dst <> ''"))[0]
+
+
+def project_arcs(df: DataFrame, src: Column | str, dst: Column | str, ts: Column | str | None = None, *more: str) -> DataFrame:
+    """Arcs (src, dst[, ts], further columns) out of any table; rows that lack an end go."""
+    col = lambda c, name: (F.expr(c) if isinstance(c, str) else c).alias(name)
+    out = df.select(col(src, "src"), col(dst, "dst"), *([col(ts, "ts")] if ts is not None else []), *more)
+    return out.where("src is not null and dst is not null")
+
+
+def between_times(arcs: DataFrame, start, end, ts: str = "ts") -> DataFrame:
+    """Arcs from start on and before end; a plain comparison, so files' statistics prune what lies outside."""
+    kind = arcs.schema[ts].dataType
+    return arcs.where((F.col(ts) >= F.lit(start).cast(kind)) & (F.col(ts) < F.lit(end).cast(kind)))
+
+
+def by_event_type(arcs: DataFrame, types: list[str]) -> DataFrame:
+    return arcs.where(F.col("event_type").isin(*types))
 
 
 def traffic_arcs(spark, d):
     """(src, dst, ts, event_type): sender to the integer in its properties."""
-    return load(spark, d, "events").select(F.col("user_id").alias("src"), F.get_json_object("props", "$.k").cast("long").alias("dst"), "ts", "event_type").where("dst is not null")
+    return project_arcs(load(spark, d, "events"), "user_id", F.get_json_object("props", "$.k").cast("long"), "ts", "event_type")
 
 
 def traffic_vertices(spark, d):

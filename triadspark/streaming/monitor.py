@@ -2,9 +2,13 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StreamingQuery
+from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from ..operators.census import census_scalable
 from ..operators.graph import as_digraph
@@ -27,8 +31,8 @@ def closed_arcs(stream: DataFrame, every: str, delay: str, slide: str | None = N
 
 
 def monitor_stream(stream: DataFrame, out: str, every: str = "1 day", delay: str = "1 hour", n: DataFrame | None = None, lookback: int = 7,
-                   threshold: float = 3.0, min_history: int = 5, trigger: dict | None = None) -> StreamingQuery:
-    """Writes out/series (censuses of closed intervals) and out/alerts, in one folder a batch that a repeated batch overwrites.
+                   threshold: float = 3.0, min_history: int = 5, trigger: dict | None = None, slide: str | None = None) -> StreamingQuery:
+    """With slide, intervals overlap.  Writes out/series (censuses of closed intervals) and out/alerts, in one folder a batch that a repeated batch overwrites.
 
     n: one-row frame with the fixed universe's size; else the interval's active vertices.  Drift reads only the stored 16-row censuses, of
     batches before this one."""
@@ -45,10 +49,48 @@ def monitor_stream(stream: DataFrame, out: str, every: str = "1 day", delay: str
         now = spark.read.parquet(f"{out}/series/batch={batch}").select("win_start").distinct()
         hot.join(now, "win_start", "left_semi").write.mode("overwrite").parquet(f"{out}/alerts/batch={batch}")
 
-    w = closed_arcs(stream, every, delay).writeStream.outputMode("append").option("checkpointLocation", f"{out}/checkpoint").foreachBatch(on_batch)
+    w = closed_arcs(stream, every, delay, slide).writeStream.outputMode("append").option("checkpointLocation", f"{out}/checkpoint").foreachBatch(on_batch)
     return w.trigger(**(trigger or {"availableNow": True})).start()
 
 
+def late_rows(query: StreamingQuery) -> int:
+    """Rows that came behind the watermark and were dropped, over the batches that the query still remembers."""
+    return sum(int(op["numRowsDroppedByWatermark"]) for p in query.recentProgress for op in p["stateOperators"])
+
+
+DRIFT = "win_start timestamp, triad_type string, share double, change double, history long, z double"
+
+
+class PatternState:
+    """Per type, the shares and counts of its last `lookback` intervals: the rolling baseline of the live monitor, kept by the stream itself."""
+
+    SCHEMA = "shares array<double>, counts array<double>"
+
+    def __init__(self, lookback: int = 7):
+        self.lookback = lookback
+
+    def __call__(self, key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        shares, counts = map(list, state.get) if state.exists else ([], [])
+        new, rows = pd.concat(list(frames)).sort_values("win_start"), []
+        for r in new.itertuples():
+            k, total = len(shares), max(float(r.total), 1.0)
+            change = round(r.share - shares[-1], 9) if k else None
+            z = None
+            if k:
+                mean = sum(shares) / k
+                dev = (sum((x - mean) ** 2 for x in shares) / (k - 1)) ** 0.5 if k > 1 else 0.0
+                z = round((r.share - mean) / max(dev, max(sum(counts) / k, 1.0) ** 0.5 / total), 6)
+            rows.append((r.win_start, key[0], r.share, change, k, z))
+            shares, counts = (shares + [r.share])[-self.lookback :], (counts + [float(r.n_triads)])[-self.lookback :]
+        state.update((shares, counts))
+        yield pd.DataFrame(rows, columns=["win_start", "triad_type", "share", "change", "history", "z"])
+
+
+def drift_stream(shares: DataFrame, lookback: int = 7) -> DataFrame:
+    """The drift of a stream of shares(win_start, triad_type, n_triads, total, share), intervals in order; equal to the batch form."""
+    return shares.groupBy("triad_type").applyInPandasWithState(PatternState(lookback), DRIFT, PatternState.SCHEMA, "append", GroupStateTimeout.NoTimeout)
+
+
 def stored_series(spark: SparkSession, out: str) -> DataFrame:
     return spark.read.schema(SERIES).parquet(f"{out}/series").drop("batch")
 
