@@ -265,10 +265,48 @@ def test_lm_scores_of_all_words(spark):
             p2 = [two[y, x] / ctx[y] if ctx[y] else q for y, x, q in zip(["<s>"] + w, w, p1)]
             loss.append(-sum(np.log(0.7 * a + 0.3 * b) for a, b in zip(p2, p1)) / len(w) if w else None)
         want[d] = (len(w), *loss)
-    got = lm_scores.cross_entropy_difference(spark.createDataFrame(docs, "doc_id long, text string").repartition(3), spark.createDataFrame([(d, 1) for d in good], "doc_id long, quality int"), block_bytes=50_000).collect()
-    assert len(got) == len(docs)
-    for r in got:
-        assert r.n_tokens == want[r.doc_id][0] and (r.target_loss, r.background_loss) == pytest.approx(want[r.doc_id][1:], abs=2e-6)
+    table = spark.createDataFrame(docs, "doc_id long, text string").repartition(3)
+    for block, cells in ((50_000, 256), (20_000, 3)):  # with 3 cells a block, counts are added in several rounds
+        got = lm_scores.cross_entropy_difference(table, spark.createDataFrame([(d, 1) for d in good], "doc_id long, quality int"), block_bytes=block, cells=cells).collect()
+        assert len(got) == len(docs)
+        for r in got:
+            assert r.n_tokens == want[r.doc_id][0] and (r.target_loss, r.background_loss) == pytest.approx(want[r.doc_id][1:], abs=2e-6)
+
+
+def test_lm_scores_of_a_whole_table(spark, sf, plain):
+    """Plain counting of every word and pair of words."""
+    good = {r.doc_id for r in spark.read.parquet(f"{sf}/labels.parquet").where("quality = 1").collect()}
+    grams = lambda t: re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", lower(t))
+    models = []
+    for some in ([t for d, t in plain if d in good], [t for _, t in plain]):
+        uni, ctx, two = collections.Counter(), collections.Counter(), collections.Counter()
+        for w in map(grams, some):
+            uni.update(w)
+            ctx.update(w + ["<s> "] * bool(w))
+            two.update(zip(["<s> "] + w, w))
+        models.append((uni, ctx, two))
+    v = len(models[1][0])
+    got = {r.doc_id: r for r in QUERIES["op4_lm_scores"](spark, sf).collect()}
+    assert len(got) == len(plain)
+    for d, t in plain:
+        w, loss = grams(t), []
+        for uni, ctx, two in models:
+            p1 = [(uni[x] + 0.1) / (uni.total() + 0.1 * v) for x in w]
+            p2 = [two[y, x] / ctx[y] if ctx[y] else q for y, x, q in zip(["<s> "] + w, w, p1)]
+            loss.append(-sum(np.log(0.7 * a + 0.3 * b) for a, b in zip(p2, p1)) / len(w) if w else None)
+        assert got[d].n_tokens == len(w)
+        if w:
+            assert (got[d].target_loss, got[d].background_loss, got[d].score) == pytest.approx((*loss, loss[0] - loss[1]), abs=3e-6)
+
+
+def test_lm_counts_beyond_32_bits():
+    import pyarrow as pa
+
+    key = np.array([1, 2, 5], np.uint64)
+    rows = [lm_scores._cut_rows(key, np.array([0, 7, 1 << 40]), np.array([3_000_000_000, 1 << 33, 1 << 50]), 0, 1, 1, b) for b in range(3)]
+    t = lm_scores._total(pa.concat_tables(rows))
+    for b in range(3):
+        assert lm_scores._unpack(t["back"][b].as_py()).tolist() == [9_000_000_000, 3 << 33, 3 << 50] and lm_scores._unpack(t["target"][b].as_py()).tolist() == [0, 21, 3 << 40]
 
 
 def test_empty_tables(spark):

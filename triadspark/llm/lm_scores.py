@@ -4,11 +4,13 @@ Target and background model share one vocabulary: all words of all documents, ho
 the target those of documents that the labels call good, the background all documents.
 Each block of documents counts its own n-grams, named by 62-bit hashes; buckets of n-grams (ranges of hashes) add the blocks' counts and give
 every block the totals of just those it has, in the order it sent them, and the number of distinct words of the bucket; so neither models nor
-vocabulary are ever gathered in one place.  A document's score is its loss per token under the target model less that under
+vocabulary are ever gathered in one place.  A block has `cells` buckets at most.  Where a bucket would hear from more than `cells` blocks, that many of them
+first add their counts and split their range of hashes again, and so on: a frequent n-gram never meets all blocks at once, and each
+round of this exchange has rows in proportion to the blocks.  A document's score is its loss per token under the target model less that under
 the background model, both interpolated from bi- to unigrams; lower is more like the target.
 
-Edge cases: null or empty text has no tokens: losses and score are null.  Without any good label the target model is its smoothing alone.  Documents
-with several label rows count as good if one is.  Repeated rows give a row each; a null doc_id has no label.  Empty tables give no rows.  Other columns
+Counts have 64 bits.  Edge cases: null or empty text has no tokens: losses and score are null.  Without any good label the target model is its smoothing alone.  Documents
+with several label rows count as good if one is.  Repeated rows give a row each; a null doc_id has no label, and such rows are dealt to blocks by their text.  Empty tables give no rows.  Other columns
 are ignored.
 """
 
@@ -75,8 +77,16 @@ def _mark(t: pa.Table) -> pa.Table:
     return pa.table({"doc_id": docs["doc_id"], "text": docs["text"], "block": docs["block"], "good": pa.array(np.isin(own, ids[good]))})
 
 
-_COUNTED = "bucket int, block int, keys binary, target binary, back binary"
-_TOTALS = "bucket int, block int, n_words long, target binary, back binary"
+_COUNTED = "bucket long, block long, keys binary, target binary, back binary"
+_TOTALS = "bucket long, block long, n_words long, target binary, back binary"
+
+
+def _cut_rows(key: np.ndarray, target: np.ndarray, back: np.ndarray, first: int, last: int, buckets: int, block: int) -> pa.Table:
+    """A row for every bucket from first to before last, even an empty one: each counts distinct words for all blocks."""
+    cuts = np.searchsorted(_bucket(key, buckets), np.arange(first, last + 1).astype(U))
+    spans = list(zip(cuts[:-1], cuts[1:], strict=True))
+    return pa.table({"bucket": pa.array(np.arange(first, last), pa.int64()), "block": pa.array(np.full(last - first, block), pa.int64()), "keys": pa.array([_pack_keys(key[i:j]) for i, j in spans], pa.binary()),
+                     "target": pa.array([_pack(target[i:j]) for i, j in spans], pa.binary()), "back": pa.array([_pack(back[i:j]) for i, j in spans], pa.binary())})
 
 
 def _count(buckets: int):
@@ -92,7 +102,7 @@ def _count(buckets: int):
             good += [flag, flag]
             ends.append(np.array([len(one), len(heads), flag.sum(), flag[heads].sum()]))
         if not t.num_rows:
-            return pa.table({"bucket": pa.array([], pa.int32()), "block": pa.array([], pa.int32()), **{c: pa.array([], pa.binary()) for c in ("keys", "target", "back")}})
+            return _cut_rows(np.zeros(0, U), np.zeros(0, np.int64), np.zeros(0, np.int64), 0, 0, buckets, 0)
         every = np.concatenate(keys)
         key, back = np.unique(every, return_counts=True)
         some, n = np.unique(every[np.concatenate(good)], return_counts=True)
@@ -101,10 +111,7 @@ def _count(buckets: int):
         total = np.sum(ends[1:], axis=0)
         at = np.searchsorted(key, ones)
         back[at], target[at] = total[:2], total[2:]
-        cuts = np.searchsorted(_bucket(key, buckets), np.arange(buckets + 1))
-        spans = list(zip(cuts[:-1], cuts[1:], strict=True))  # a row for every bucket: each counts distinct words for all blocks
-        return pa.table({"bucket": pa.array(np.arange(buckets), pa.int32()), "block": pa.array(np.full(buckets, t["block"][0].as_py()), pa.int32()), "keys": pa.array([_pack_keys(key[i:j]) for i, j in spans], pa.binary()),
-                         "target": pa.array([_pack(target[i:j]) for i, j in spans], pa.binary()), "back": pa.array([_pack(back[i:j]) for i, j in spans], pa.binary())})
+        return _cut_rows(key, target, back, 0, buckets, buckets, t["block"][0].as_py())
 
     return run
 
@@ -114,14 +121,57 @@ def _bucket(key: np.ndarray, buckets: int) -> np.ndarray:
     return ((key >> U(32)) * U(buckets)) >> U(32)
 
 
-def _total(t: pa.Table) -> pa.Table:
+def _added(t: pa.Table) -> tuple[list[np.ndarray], np.ndarray, np.ndarray, dict[str, np.ndarray]]:
+    """Keys of each row, distinct keys, their number for every key of every row, and the sums of the counts."""
     keys = [_unpack_keys(x) for x in t["keys"].to_pylist()]
     key, inv = np.unique(np.concatenate(keys), return_inverse=True)
+    sums = {}
+    for c in ("target", "back"):
+        sums[c] = np.zeros(len(key), np.int64)
+        np.add.at(sums[c], inv, np.concatenate([_unpack(x) for x in t[c].to_pylist()]).astype(np.int64))
+    return keys, key, inv, sums
+
+
+def _merge(split: int, buckets: int):
+    """Counts of some blocks in one bucket, added, in the `split` buckets that it is cut into; the blocks' place in their row of groups stands for them."""
+
+    def run(t: pa.Table) -> pa.Table:
+        _, key, _, sums = _added(t)
+        first = t["bucket"][0].as_py() * split
+        return _cut_rows(key, sums["target"], sums["back"], first, first + split, buckets, t["g"][0].as_py())
+
+    return run
+
+
+def _spread(counted: pa.Table, told: pa.Table) -> pa.Table:
+    """Totals of the added counts back to the blocks, in the order of each block's own keys."""
+    keys, _, inv, _ = _added(counted)
+    told = told.sort_by("bucket")
+    n = int(np.sum(told["n_words"].to_numpy()))
     ends = np.cumsum([len(k) for k in keys])
     out = {}
     for c in ("target", "back"):
-        s = np.bincount(inv, weights=np.concatenate([_unpack(x) for x in t[c].to_pylist()]), minlength=len(key)).astype(np.int64)
+        s = np.concatenate([_unpack(x) for x in told[c].to_pylist()])
         out[c] = pa.array([_pack(s[inv[e - len(k) : e]]) for k, e in zip(keys, ends, strict=True)], pa.binary())
+    return pa.table({"bucket": counted["bucket"].combine_chunks(), "block": counted["block"].combine_chunks(), "n_words": pa.array([n] * len(keys), pa.int64()), **out})
+
+
+def _totals(counted: DataFrame, n_blocks: int, buckets: int, cells: int) -> DataFrame:
+    """Totals for the rows of counted, whose buckets hear from n_blocks blocks each."""
+    if n_blocks <= cells:
+        return counted.groupBy("bucket").applyInArrow(_total, _TOTALS)
+    g = F.floor(F.col("block") / cells).alias("g")
+    grouped = counted.select("*", g)
+    merged = grouped.groupBy("bucket", "g").applyInArrow(_merge(cells, buckets * cells), _COUNTED)
+    back = _totals(merged, -(-n_blocks // cells), buckets * cells, cells)
+    back = back.select(F.floor(F.col("bucket") / cells).alias("coarse"), F.col("block").alias("g"), "bucket", "n_words", "target", "back")
+    return grouped.groupBy("bucket", "g").cogroup(back.groupBy("coarse", "g")).applyInArrow(_spread, _TOTALS)
+
+
+def _total(t: pa.Table) -> pa.Table:
+    keys, key, inv, sums = _added(t)
+    ends = np.cumsum([len(k) for k in keys])
+    out = {c: pa.array([_pack(s[inv[e - len(k) : e]]) for k, e in zip(keys, ends, strict=True)], pa.binary()) for c, s in sums.items()}
     n = int(((key & KIND) == U(1)).sum())
     return pa.table({"bucket": t["bucket"].combine_chunks(), "block": t["block"].combine_chunks(), "n_words": pa.array([n] * len(keys), pa.int64()), **out})
 
@@ -161,16 +211,16 @@ def _score(mixture: float, alpha: float):
     return run
 
 
-def cross_entropy_difference(docs: DataFrame, labels: DataFrame, mixture: float = 0.7, alpha: float = 0.1, block_bytes: int = 4 << 20) -> DataFrame:
+def cross_entropy_difference(docs: DataFrame, labels: DataFrame, mixture: float = 0.7, alpha: float = 0.1, block_bytes: int = 4 << 20, cells: int = 256) -> DataFrame:
     """doc_id, n_tokens, target_loss, background_loss, score of every row of docs; labels(doc_id, quality) tell the target's documents."""
     docs = slim(docs)
     good = labels.where("quality = 1").select(F.col("doc_id").cast("long").alias("doc_id"), F.lit(True).alias("good")).distinct()
     n = parts(docs, block_bytes)
-    block = F.pmod(F.xxhash64("doc_id"), F.lit(n)).cast("int").alias("block")
+    block = F.pmod(F.xxhash64(F.coalesce("doc_id", F.xxhash64("text"))), F.lit(n)).cast("long").alias("block")
     # labels go to the blocks that hold their documents; texts move once
     blocks = docs.select("doc_id", "text", block).unionByName(good.select("doc_id", F.lit(None).cast("string").alias("text"), block, "good"), allowMissingColumns=True).repartition(max(1, n // 3), "block")
-    counted = blocks.groupBy("block").applyInArrow(_count(n), _COUNTED)
-    totals = counted.groupBy("bucket").applyInArrow(_total, _TOTALS)
+    counted = blocks.groupBy("block").applyInArrow(_count(min(n, cells)), _COUNTED)
+    totals = _totals(counted, n, min(n, cells), cells)
     out = "doc_id long, n_tokens long, target_loss double, background_loss double, score double"
     return blocks.groupBy("block").cogroup(totals.groupBy("block")).applyInArrow(_score(mixture, alpha), out)
 
