@@ -50,7 +50,7 @@ def _tables() -> list[tuple[np.ndarray, np.ndarray]]:
     """Sorted hashes of each language's common words and their bins."""
     out = []
     for lang in LANGS:
-        ws = list(COMMON.get(lang, [w for ws in COMMON.values() for w in ws[:5]]))[: N_WORD - 1]
+        ws = list(dict.fromkeys(COMMON.get(lang, [w for ws in COMMON.values() for w in ws[:5]])))[: N_WORD - 1]
         buf, off = text_bytes(pa.array([w for w in ws]))
         h = word_hash(buf, off[:-1], np.diff(off))
         o = np.argsort(h)
