@@ -3,7 +3,7 @@
 Only places that may repeat are sorted.  Every 50-byte window owns the smallest of its k-gram hashes (its anchor), so equal windows
 own equal anchors wherever they stand, and consecutive windows with one anchor form one segment.  A first exchange finds
 the anchors that several documents have; only segments with such an anchor move on, each distinct one once a block.  Buckets of
-segments are then suffix-sorted in two stages: suffixes not larger than their successor are sorted directly, all others are
+distinct segments, all of them, are then suffix-sorted in two stages: suffixes not larger than their successor are sorted directly, all others are
 induced by one scan over the character buckets.  Neighbours in that order with a common prefix of 50 bytes are equal windows, and the
 smallest doc_id of each run decides which of them repeat an earlier document.  Blocks get back one bit a window.
 
@@ -81,6 +81,18 @@ def content_hash(buf: np.ndarray, starts: np.ndarray, lens: np.ndarray) -> np.nd
     return h
 
 
+def equal_to_last(body: np.ndarray, starts: np.ndarray, lens: np.ndarray) -> np.ndarray:
+    """Whether each segment has the bytes of the one before it."""
+    w8 = loads(body)
+    out = np.zeros(len(starts), bool)
+    out[1:] = lens[1:] == lens[:-1]
+    for at in range(0, int(lens.max(initial=0)), 8):
+        sel = np.flatnonzero(out & (lens > at))
+        step = np.minimum(at, lens[sel] - 8)
+        out[sel] = w8[starts[sel] + step] == w8[starts[sel - 1] + step]
+    return out
+
+
 def chunked(t: pa.Table, limit: int = 2 << 20):
     """The texts of a block in runs of limited size: (row offset, bytes, offsets)."""
     buf, off = text_bytes(t["text"])
@@ -318,22 +330,24 @@ def _judge(width: int, piece: int = 4 << 20):
         starts = np.cumsum(lens) - lens
         hot = t["hot"].to_numpy()[rows]
         h = content_hash(body, starts, lens)
-        # equal segments stand for one, with the smallest document of all
+        # equal segments stand for one, with the smallest document of all; hashes only bring them together, their bytes are compared
         o = np.lexsort((h, fp, hot))
         new = np.concatenate(([True], (h[o][1:] != h[o][:-1]) | (fp[o][1:] != fp[o][:-1]) | (hot[o][1:] != hot[o][:-1])))
+        if not equal_to_last(body, starts[o], lens[o])[~new].all():  # two segments of one hash: name all by their bytes
+            name = np.unique([body[s : s + n].tobytes() for s, n in zip(starts, lens, strict=True)], return_inverse=True)[1]
+            o = np.lexsort((name, fp, hot))
+            new = np.concatenate(([True], (name[o][1:] != name[o][:-1]) | (fp[o][1:] != fp[o][:-1]) | (hot[o][1:] != hot[o][:-1])))
         which = np.empty(len(o), np.int64)
         which[o] = np.cumsum(new) - 1
         lead = o[new]
         least = np.minimum.reduceat(doc[o], np.flatnonzero(new))
-        # anchors with one distinct segment need no sorting: its windows are all alike
         f = fp[lead].astype(np.int64) * 2 + hot[lead]
         edge = np.flatnonzero(np.concatenate(([True], f[1:] != f[:-1], [True])))
         group = np.repeat(np.arange(len(edge) - 1), np.diff(edge))
-        several = np.diff(edge)[group] > 1
         n_windows = lens[lead] - width + 1
         base = np.cumsum(n_windows) - n_windows
         best = np.repeat(least, n_windows)
-        todo = np.flatnonzero(several)
+        todo = np.arange(len(lead))
         bounds = np.cumsum(lens[lead[todo]] + 1)
         s = 0
         while s < len(todo):
@@ -373,7 +387,7 @@ def _judge(width: int, piece: int = 4 << 20):
     return run
 
 
-def _apply(width: int, with_text: bool):
+def _apply(width: int, with_text: bool, carry: list[str]):
     """Covered bytes of every document of a block, and what is left."""
 
     def run(docs: pa.Table, marks: pa.Table) -> pa.Table:
@@ -440,6 +454,8 @@ def _apply(width: int, with_text: bool):
         if with_text:
             out["kept"] = pa.array(seen["kept"], pa.binary())
             out["kept_text"] = pa.array([x.decode("utf-8", "ignore") for x in seen["kept"]], pa.string())
+        for c in carry:
+            out[c] = docs[c].combine_chunks() if docs.num_rows else pa.array([], pa.string())
         return pa.table(out)
 
     return run
@@ -447,20 +463,23 @@ def _apply(width: int, with_text: bool):
 
 # ---------------------------------------------------------------- the operator
 
-def suffix_dedup(docs: DataFrame, width: int = 50, with_text: bool = False, block_bytes: int = 2 << 20, hot_blocks: int = 256) -> DataFrame:
-    """doc_id, n_bytes, n_removed, n_spans, kept_sha256 (and kept: the bytes left; kept_text: their whole characters) of every row of docs.
+def suffix_dedup(docs: DataFrame, width: int = 50, with_text: bool = False, block_bytes: int = 2 << 20, hot_blocks: int = 256, carry: list[str] | None = None) -> DataFrame:
+    """doc_id, n_bytes, n_removed, n_spans, kept_sha256 (and kept: the bytes left; kept_text: their whole characters) of every row of docs,
+    and string columns of docs to carry along.
 
     width: bytes of a string that counts as repeated, from GRAM+1 to GRAM+32."""
     if not GRAM < width <= GRAM + 31:
         raise ValueError("width out of range")
-    docs = slim(docs)
+    carry = carry or []
+    docs = slim(docs, *carry)
     n = parts(docs, block_bytes)
-    blocks = docs.withColumn("block", F.pmod(F.xxhash64("doc_id"), F.lit(n)).cast("int")).repartition(max(1, n // 3), "block")
+    # rows without doc_id are one document, but need not be one block
+    blocks = docs.withColumn("block", F.pmod(F.xxhash64(F.coalesce("doc_id", F.xxhash64("text"))), F.lit(n)).cast("int")).repartition(max(1, n // 3), "block")
     marks = blocks.groupBy("block").applyInArrow(_anchors(width, n), _ANCHORS).groupBy("bucket").applyInArrow(_shared(hot_blocks), _SHARED)
     cut = blocks.groupBy("block").cogroup(marks.groupBy("block")).applyInArrow(_cut(width, n), _SEGMENTS)
     told = cut.groupBy("bucket").applyInArrow(_judge(width), _MARKS)
-    out = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", kept binary, kept_text string" * with_text
-    return blocks.groupBy("block").cogroup(told.groupBy("block")).applyInArrow(_apply(width, with_text), out)
+    out = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", kept binary, kept_text string" * with_text + "".join(f", {c} string" for c in carry)
+    return blocks.groupBy("block").cogroup(told.groupBy("block")).applyInArrow(_apply(width, with_text, carry), out)
 
 
 def op2_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
