@@ -1,7 +1,8 @@
 """Corpus cleaning: quality rules, near-duplicate join, repeated-string removal, benchmark decontamination, byte-level BPE.
 
-Every stage takes and returns the columns of documents, the last returns ids per document.  A document without doc_id leaves at the first
-stage; of rows with one doc_id one stays.  A document of which repeated strings leave nothing goes too; characters cut in two are left out.
+Every stage takes and returns the columns of documents, the last returns ids per document.  Verdicts are on rows: a doc_id may be null or be there
+with several texts, each row that is clean stays.  A row without doc_id is a near duplicate of nothing; of equal rows of one doc_id one stays.
+A document of which repeated strings leave nothing goes too; characters cut in two are left out.
 """
 
 from __future__ import annotations
@@ -20,24 +21,32 @@ from triadspark.llm.suffix_dedup import suffix_dedup
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 
 
+def _keyed(docs: DataFrame) -> DataFrame:
+    """docs with a key that only rows of equal doc_id and text share."""
+    return docs.withColumn("_key", F.xxhash64("doc_id", F.col("doc_id").isNull(), "text", F.col("text").isNull()))
+
+
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    kept = judge_quality(docs).where("kept").select("doc_id")
-    return docs.select(COLUMNS).join(kept, "doc_id", "left_semi").dropDuplicates(["doc_id"])
+    rows = _keyed(docs.select(COLUMNS))
+    kept = judge_quality(rows.select(F.col("_key").alias("doc_id"), "text", "lang")).where("kept").select(F.col("doc_id").alias("_key"))
+    return rows.join(kept, "_key", "left_semi").select(COLUMNS)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     first = jaccard_components(docs).where("doc_id = component_id").select("doc_id")
-    return docs.select(COLUMNS).join(first, "doc_id", "left_semi")
+    rows = _keyed(docs.select(COLUMNS))
+    return rows.join(first, "doc_id", "left_semi").dropDuplicates(["doc_id", "_key"]).unionByName(rows.where("doc_id is null")).select(COLUMNS)
 
 
 def repeated_strings(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    left = suffix_dedup(docs, with_text=True).where("n_removed < n_bytes or n_bytes = 0").select("doc_id", F.col("kept_text").alias("text"))
-    return docs.select("doc_id", "lang", "source").join(left, "doc_id").select("doc_id", "text", "lang", "source", F.length("text").cast("long").alias("n_chars"))
+    left = suffix_dedup(docs, with_text=True, carry=["lang", "source"]).where("n_removed < n_bytes or n_bytes = 0")
+    return left.select("doc_id", F.col("kept_text").alias("text"), "lang", "source", F.length("kept_text").cast("long").alias("n_chars"))
 
 
 def decontaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    clean = find_items(docs, table(spark, sf_dir, "benchmark")).where("n_hit = 0").select("doc_id")
-    return docs.select(COLUMNS).join(clean, "doc_id", "left_semi")
+    rows = _keyed(docs.select(COLUMNS))
+    clean = find_items(rows.select(F.col("_key").alias("doc_id"), "text"), table(spark, sf_dir, "benchmark")).where("n_hit = 0").select(F.col("doc_id").alias("_key"))
+    return rows.join(clean, "_key", "left_semi").select(COLUMNS)
 
 
 def encoded(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
