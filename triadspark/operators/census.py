@@ -9,7 +9,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.codes import CLOSED, FOLD, LABELS, canonical, find_dir, flip_dir, fold_code, is_mutual, pack, triad_code, triad_total, type_label, unpack_id
-from .graph import Digraph, both_ways, degrees, dense, packable, packed_adjacency, relabel
+from .graph import Digraph, both_ways, degrees, dense, packable, packed_adjacency, relabel, settled
 from .keep import keep
 from .layout import weighted_units
 
@@ -22,24 +22,24 @@ def _rows(wide: DataFrame, keys: list[str]) -> DataFrame:
     return wide.select(*keys, cells.alias("c")).select(*keys, "c.*")
 
 
-def oriented(g: Digraph) -> DataFrame:
+def oriented(g: Digraph, deg: DataFrame | None = None) -> DataFrame:
     """(keys, t, h, code): pairs from their end of smaller (degree, id); a hub's list shrinks to the root of the pairs."""
-    d = degrees(g).select(*g.keys, "id", "d")
+    d = (degrees(g) if deg is None else deg).select(*g.keys, "id", "d")
     x = g.dyads.join(d.withColumnsRenamed({"id": "lo", "d": "dl"}), [*g.keys, "lo"]).join(d.withColumnsRenamed({"id": "hi", "d": "dh"}), [*g.keys, "hi"])
     up = F.col("dl") <= F.col("dh")
     return x.select(*g.keys, F.when(up, F.col("lo")).otherwise(F.col("hi")).alias("t"), F.when(up, F.col("hi")).otherwise(F.col("lo")).alias("h"), F.when(up, F.col("dir")).otherwise(flip_dir(F.col("dir"))).alias("code"))
 
 
-def triangles(g: Digraph) -> DataFrame:
+def triangles(g: Digraph, deg: DataFrame | None = None) -> DataFrame:
     """(keys, t, x, y, code): every closed triad once, code in the order (t, x, y) with x<y."""
-    o = oriented(g)
+    o = oriented(g, deg)
     w = o.select(*g.keys, "t", F.col("h").alias("x"), F.col("code").alias("cx")).join(o.select(*g.keys, "t", F.col("h").alias("y"), F.col("code").alias("cy")), [*g.keys, "t"]).where("x < y")
     return w.join(g.dyads.withColumnsRenamed({"lo": "x", "hi": "y"}), [*g.keys, "x", "y"]).select(*g.keys, "t", "x", "y", triad_code(F.col("cx"), F.col("cy"), F.col("dir")).alias("code"))
 
 
-def ordered_triangles(g: Digraph) -> DataFrame:
+def ordered_triangles(g: Digraph, deg: DataFrame | None = None) -> DataFrame:
     """(u, v, w, code) with u<v<w and the state in that order."""
-    t = triangles(g)
+    t = triangles(g, deg)
     tx, ty, xy = (F.shiftright("code", k).bitwiseAND(F.lit(3)).cast("int") for k in (0, 2, 4))
     low, mid = F.col("t") < F.col("x"), F.col("t") < F.col("y")
     code = F.when(low, F.col("code")).when(mid, triad_code(flip_dir(tx), xy, ty)).otherwise(triad_code(xy, flip_dir(tx), flip_dir(ty)))
@@ -49,12 +49,13 @@ def ordered_triangles(g: Digraph) -> DataFrame:
 def census_scalable(g: Digraph, closed: DataFrame | None = None) -> DataFrame:
     """Only triangles are enumerated; open, dyadic and null triads follow from degrees.  closed(keys, no, c): their counts from elsewhere."""
     k = g.keys
+    g, deg = settled(g)
     if closed is None:
-        closed = triangles(g).groupBy(*k, fold_code(F.col("code")).alias("no")).agg(F.count("*").alias("c"))
+        closed = triangles(g, deg).groupBy(*k, fold_code(F.col("code")).alias("no")).agg(F.count("*").alias("c"))
     one = F.lit(1).cast("decimal(20,0)")
     a, b, m, d = (F.col(c).cast("decimal(18,0)") for c in "abmd")
     half = lambda x: F.sum((x * (x - one) / 2).cast(BIG))
-    sums = degrees(g).groupBy(*k).agg(half(a).alias("D"), half(b).alias("U"), F.sum(a * b).alias("C"), F.sum(m * b).alias("MI"), F.sum(m * a).alias("MO"), half(m).alias("MM"), F.sum(d * (a + b)).alias("DA"), F.sum(d * m).alias("DM"))
+    sums = deg.groupBy(*k).agg(half(a).alias("D"), half(b).alias("U"), F.sum(a * b).alias("C"), F.sum(m * b).alias("MI"), F.sum(m * a).alias("MO"), half(m).alias("MM"), F.sum(d * (a + b)).alias("DA"), F.sum(d * m).alias("DM"))
     pairs = g.dyads.groupBy(*k).agg(F.count_if(F.col("dir") < 3).alias("PA"), F.count_if(F.col("dir") == 3).alias("PM"))
     closed = closed.groupBy(*k).agg(*(F.sum(F.when(F.col("no") == LABELS.index(x) + 1, F.col("c"))).alias(f"T{x}") for x in CLOSED))
     if k:
@@ -180,10 +181,11 @@ def census_edge_driven(g: Digraph, union: str = "join", slots: int = 64, balance
     set and merge pack ids with their direction bits, so a graph whose ids leave no room for them goes through ranks first; merge cuts runs into
     ranges of `piece` third nodes where an id is far from the others or a run may be longer."""
     if union == "join":
+        g, deg = settled(g)
         t = connected_triads(g)
         conn = t.select("u", "v", fold_code(F.col("code")).alias("triad_no"), F.lit(1).cast("long").alias("c"))
-        ends = degrees(g).select("id", "d")
-        per = triangles(g).select(F.explode(F.array(F.struct(F.least("t", "x").alias("lo"), F.greatest("t", "x").alias("hi")), F.struct(F.least("t", "y").alias("lo"), F.greatest("t", "y").alias("hi")), F.struct(F.col("x").alias("lo"), F.col("y").alias("hi")))).alias("p")).groupBy("p.lo", "p.hi").agg(F.count("*").alias("common"))
+        ends = deg.select("id", "d")
+        per = triangles(g, deg).select(F.explode(F.array(F.struct(F.least("t", "x").alias("lo"), F.greatest("t", "x").alias("hi")), F.struct(F.least("t", "y").alias("lo"), F.greatest("t", "y").alias("hi")), F.struct(F.col("x").alias("lo"), F.col("y").alias("hi")))).alias("p")).groupBy("p.lo", "p.hi").agg(F.count("*").alias("common"))
         dy = dyadic_counts(g, ends, per).select(F.col("lo").alias("u"), F.col("hi").alias("v"), "triad_no", "c")
         rows = conn.unionByName(dy)
     elif union == "set":
@@ -220,7 +222,8 @@ def census_matrix(g: Digraph) -> DataFrame:
     """Products of class matrices, masked: an entry (i, j) of a product is only summed path by path where (i, j) is adjacent, which is to say on
     triangles; all other entries together are the product of the classes' counts at each centre, less those and less the diagonal."""
     C_, R_, M_ = "CRM"
-    seen = triangles(g).groupBy("code").agg(F.count("*").alias("c"))
+    g, deg = settled(g)
+    seen = triangles(g, deg).groupBy("code").agg(F.count("*").alias("c"))
     name = {1: C_, 2: R_, 3: M_}
     flip = {1: 2, 2: 1, 3: 3}
     paths = []
@@ -237,7 +240,7 @@ def census_matrix(g: Digraph) -> DataFrame:
     back = {C_: R_, R_: C_, M_: M_}
     big = lambda c: F.col(c).cast("decimal(18,0)")
     sums = {p + q: F.sum((big(into[p]) * big(out[q]) - (big(into[p]) if back[p] == q else F.lit(0))).cast(BIG)) for p in "CRM" for q in "CRM"}
-    every = degrees(g).agg(*(v.alias(k) for k, v in sums.items())).select(F.explode(F.array(*(F.struct(F.lit(k).alias("pq"), F.col(k).alias("all")) for k in sums))).alias("r")).select("r.*")
+    every = deg.agg(*(v.alias(k) for k, v in sums.items())).select(F.explode(F.array(*(F.struct(F.lit(k).alias("pq"), F.col(k).alias("all")) for k in sums))).alias("r")).select("r.*")
     met = closed.groupBy(F.substring("k", 1, 2).alias("pq")).agg(F.sum("p").alias("p"))
     apart = every.join(F.broadcast(met), "pq", "left").select(F.concat("pq", F.lit("Z")).alias("k"), (F.coalesce("all", F.lit(0)) - F.coalesce("p", F.lit(0))).cast(BIG).alias("p"))
     return matrix_counts(g, closed.unionByName(apart))
@@ -281,6 +284,7 @@ def census64(g: Digraph) -> DataFrame:
     Two-pair states come from each centre's run in ascending order: products of its lower and higher neighbours by code, and running counts
     of codes before each neighbour on the same side.  One-pair states come from ranks and places in the runs of a pair's ends.  Both count
     every closed triad as if its other pairs were missing, which the triangles set right; null triads are what is left of the total."""
+    g, deg = settled(g)
     f = lambda c: F.when(c == 3, 3).otherwise(3 - c)
     run = Window.partitionBy("id").orderBy("nbr")
     before, whole = run.rowsBetween(Window.unboundedPreceding, -1), Window.partitionBy("id")
@@ -301,7 +305,7 @@ def census64(g: Digraph) -> DataFrame:
            cell(4 * here, F.when(above, -r - 1 - (pos - low)).otherwise(r - (low - pos - 1))),
            cell(here, F.when(above, -(d - pos - 1)).otherwise(F.col("n") - 1 - r - (d - low)))]
     open_ = s.select(F.explode(F.array(*two, *one)).alias("e")).groupBy("e.code").agg(F.sum("e.n").cast(BIG).alias("c"))
-    tri = ordered_triangles(g).groupBy("code").agg(F.count("*").cast(BIG).alias("c"))
+    tri = ordered_triangles(g, deg).groupBy("code").agg(F.count("*").cast(BIG).alias("c"))
     bits = lambda *keep: F.col("code").bitwiseAND(F.lit(sum(3 << (2 * k) for k in keep)))
     fix = [F.struct(F.col("code"), F.col("c"))] + [F.struct(bits(*k).alias("code"), (-F.col("c")).cast(BIG).alias("c")) for k in ((0, 1), (0, 2), (1, 2))] + [F.struct(bits(k).alias("code"), F.col("c")) for k in range(3)]
     some = open_.unionByName(tri.select(F.explode(F.array(*fix)).alias("e")).select("e.*")).where("code > 0").groupBy("code").agg(F.sum("c").cast(BIG).alias("c"))
@@ -317,8 +321,9 @@ def condense(c64: DataFrame) -> DataFrame:
 
 def cost_model(g: Digraph) -> DataFrame:
     """(n, pairs, d2, wedges, ordered_wedges): what each method would visit."""
-    d = degrees(g).agg(F.sum(F.col("d") * F.col("d")).cast("long").alias("d2"), F.sum((F.col("d") * (F.col("d") - 1) / 2).cast("long")).alias("wedges"))
-    o = oriented(g).groupBy("t").agg(F.count("*").alias("k")).agg(F.sum((F.col("k") * (F.col("k") - 1) / 2).cast("long")).alias("ordered_wedges"))
+    g, deg = settled(g)
+    d = deg.agg(F.sum(F.col("d") * F.col("d")).cast("long").alias("d2"), F.sum((F.col("d") * (F.col("d") - 1) / 2).cast("long")).alias("wedges"))
+    o = oriented(g, deg).groupBy("t").agg(F.count("*").alias("k")).agg(F.sum((F.col("k") * (F.col("k") - 1) / 2).cast("long")).alias("ordered_wedges"))
     return g.sizes.crossJoin(F.broadcast(g.dyads.agg(F.count("*").alias("pairs")))).crossJoin(F.broadcast(d)).crossJoin(F.broadcast(o))
 
 

@@ -57,6 +57,12 @@ def degrees(g: Digraph) -> DataFrame:
     return both_ways(g).groupBy(*g.keys, "id").agg(F.count_if(c == 1).alias("a"), F.count_if(c == 2).alias("b"), F.count_if(c == 3).alias("m"), F.count("*").alias("d"))
 
 
+def settled(g: Digraph) -> tuple[Digraph, DataFrame]:
+    """The graph with its pairs written once, and its degrees, written too: forms that use both several times read the sources once."""
+    g = Digraph(keep(g.dyads, "dyads"), g.sizes, g.keys, g.vertices)
+    return g, keep(degrees(g), "degrees")
+
+
 def packed_adjacency(g: Digraph) -> DataFrame:
     """(keys, id, deg, packed): sorted neighbours with two direction bits each.  Ids beyond 62 bits raise an error: see `dense`."""
     return both_ways(g).groupBy(*g.keys, "id").agg(F.count("*").cast("int").alias("deg"), F.sort_array(F.collect_list(pack(F.col("nbr"), F.col("code")))).alias("packed"))
