@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import os
 
+import pandas as pd
 from pyspark.sql import functions as F
 
 from ..functions.codes import triad_total
@@ -16,7 +17,7 @@ from ..operators import measures as M
 from ..operators import participation as P
 from ..operators import relations as R
 from ..operators import temporal as T
-from ..operators.keep import temp_path
+from ..operators.keep import keep, temp_path
 from ..sources import store as S
 from ..sources import workloads as W
 from ..streaming import monitor as live
@@ -55,7 +56,9 @@ _add("census_matrix_blocks_traffic", lambda s, d: _long(B.census_matrix_blocks(W
 _add("census_colour_blocks_social", lambda s, d: _long(B.census_colour_blocks(W.social_graph(s, d))), _wedge("social"))
 _add("census_edge_weighted_traffic", lambda s, d: _long(C.census_edge_driven(W.traffic_graph(s, d), union="merge", balance="weighted")), _wedge("traffic"))
 _add("census_sampled_social", lambda s, d: _long(B.census_sampled(W.social_graph(s, d), 0.5)))
-_add("triad_census_knn", lambda s, d: _long(C.census(W.knn_graph(s, d))))
+_KNN = """select src, dst from (select src, dst, row_number() over (partition by src order by c desc, dst) as r from (select a.vec_id as src, b.vec_id as dst, round(list_cosine_similarity(a.embedding::double[], b.embedding::double[]), 9) as c
+  from embeddings a join embeddings b on a.vec_id <> b.vec_id)) where r <= 5"""
+_add("triad_census_knn", lambda s, d: _long(C.census(W.knn_graph(s, d))), wedge_sql(_KNN, "select vec_id as id from embeddings"))
 _add("census_by_region", lambda s, d: _long(C.census_scalable(W.region_graph(s, d))), wedge_sql(
     "select h1.region, x.src, x.dst from (" + ARCS["social"] + ") x join home h1 on h1.id = x.src join home h2 on h2.id = x.dst and h1.region = h2.region", "select id from home",
     "home as (select n_regionkey::bigint as region, c_custkey as id from customer join nation on c_nationkey = n_nationkey), ", key="region", sizes="select region, count(*) as n from home group by 1"))
@@ -120,10 +123,16 @@ _add("chunk_plan_guided_social", lambda s, d: L.chunk_plan(_placed(s, d), "guide
 
 
 def _makespans(s, d):
-    """One row a policy; chunk works are at most pairs / 16 numbers, the hand-out is sequential by nature."""
-    p = _placed(s, d).select("w", "pos")
-    chunks = {k: [r.work for r in L.chunk_plan(p, k, CORES).orderBy("chunk_id").collect()] for k in ("static", "dynamic", "guided")}
-    return s.createDataFrame([(k, int(m), round(float(e), 6)) for k, m, e in M.schedule_table(chunks, CORES)], "policy string, makespan long, efficiency double")
+    """One row a policy; the hand-out is sequential by nature, so a policy's chunks (pairs / 16 numbers at most) are one group in one task."""
+    p = keep(_placed(s, d).select("w", "pos"), "placed")
+    plans = [L.chunk_plan(p, k, CORES).select(F.lit(k).alias("policy"), "chunk_id", "work") for k in ("static", "dynamic", "guided")]
+
+    def hand_out(pdf):
+        k = pdf.policy.iloc[0]
+        _, span, share = M.schedule_table({k: pdf.sort_values("chunk_id").work.tolist()}, CORES)[0]
+        return pd.DataFrame({"policy": [k], "makespan": [int(span)], "efficiency": [round(float(share), 6)]})
+
+    return plans[0].unionByName(plans[1]).unionByName(plans[2]).groupBy("policy").applyInPandas(hand_out, "policy string, makespan long, efficiency double")
 
 
 _add("schedule_makespan_social", _makespans)
