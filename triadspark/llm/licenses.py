@@ -106,14 +106,15 @@ def scan_licenses(docs: DataFrame, templates=TEMPLATES, least: float = 0.6) -> D
     some = files.where(F.arrays_overlap("lex", lit(looked)))
     spots = some.select("row", F.explode(F.filter(F.transform("words", lambda w, i: F.struct(i.alias("p"), w.alias("w"))), lambda x: x["w"].isin(looked))).alias("x")).select("row", "x.p", "x.w")
     aligned = spots.join(post, "w").select("row", "t", (F.col("p") - F.col("at")).alias("shift")).distinct()
-    per_file = aligned.join(note, "t").groupBy("row").agg(F.collect_list(F.struct("label", "ws", "weights", "must", "total", "shift")).alias("cand"))
-    place = lambda c, j: F.when(c["shift"] + j >= 0, F.get(F.col("words"), c["shift"] + j))
-    right = lambda c, j: F.coalesce(place(c, j) == F.get(c["ws"], j), F.lit(False))
-    judged = some.join(per_file, "row").select("row", F.transform("cand", lambda c: F.struct(
-        c["label"].alias("label"),
-        F.forall(c["must"], lambda j: right(c, j)).alias("ok"),
-        (F.aggregate(F.sequence(F.lit(0), F.size(c["ws"]) - 1), F.lit(0.0), lambda acc, j: acc + F.when(right(c, j), F.get(c["weights"], j)).otherwise(0.0)) / c["total"]).alias("share"))).alias("cand"))
-    good = judged.select("row", F.filter("cand", lambda c: c["ok"] & (c["share"] >= least)).alias("cand")).where("size(cand) > 0").select("row", F.transform("cand", lambda c: c["label"]).alias("own"), F.array_max(F.transform("cand", lambda c: c["share"])).alias("best"))
+    # a file's row holds its alignments as numbers, template by template
+    per_file = (aligned.groupBy("row", "t").agg(F.collect_list("shift").alias("shifts")).join(note, "t")
+                .groupBy("row").agg(F.collect_list(F.struct("label", "ws", "weights", "must", "total", "shifts")).alias("cand")))
+    place = lambda at, j: F.when(at + j >= 0, F.get(F.col("words"), at + j))
+    right = lambda c, at, j: F.coalesce(place(at, j) == F.get(c["ws"], j), F.lit(False))
+    whole = lambda c: F.filter(c["shifts"], lambda at: F.forall(c["must"], lambda j: right(c, at, j)))
+    share = lambda c, at: F.aggregate(F.sequence(F.lit(0), F.size(c["ws"]) - 1), F.lit(0.0), lambda acc, j: acc + F.when(right(c, at, j), F.get(c["weights"], j)).otherwise(0.0)) / c["total"]
+    judged = some.join(per_file, "row").select("row", F.transform("cand", lambda c: F.struct(c["label"].alias("label"), F.array_max(F.transform(whole(c), lambda at: share(c, at))).alias("share"))).alias("cand"))
+    good = judged.select("row", F.filter("cand", lambda c: c["share"] >= least).alias("cand")).where("size(cand) > 0").select("row", F.transform("cand", lambda c: c["label"]).alias("own"), F.array_max(F.transform("cand", lambda c: c["share"])).alias("best"))
 
     bases = [F.col(f"base{k}") for k in range(len(BASE))]
     places = F.concat(*bases)
