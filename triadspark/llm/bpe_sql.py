@@ -96,7 +96,7 @@ class WordChunks(ChunkCache):
 class SqlBpe:
     """Encoder and decoder over one rank file."""
 
-    def __init__(self, path: str, pattern: str):
+    def __init__(self, path: str, pattern: str, known: int = 1_000_000):
         import duckdb
         import regex
 
@@ -116,7 +116,7 @@ class SqlBpe:
         vocab = pa.table({"id": np.array(list(self.rank.values()), np.int32), "piece": ["".join(chr(256 + x) for x in t) for t in self.rank]})  # noqa: F841
         self.db.execute("create table vocab as select * from vocab")
         self.names = [str(i) for i in range(max(self.rank.values(), default=0) + 1)]
-        self.cache = WordChunks(self, limit=1_000_000)
+        self.cache = WordChunks(self, limit=known)
 
     def _arrow(self, query: str) -> pa.Table:
         return self.db.sql(query).to_arrow_table()
@@ -220,19 +220,19 @@ class SqlBpe:
         return out
 
 
-def sql_bpe(path: str, pattern: str) -> SqlBpe:
+def sql_bpe(path: str, pattern: str, known: int = 1_000_000) -> SqlBpe:
     held = worker_state()
-    name = "ranks:" + path + pattern
+    name = f"ranks:{known}:{path}{pattern}"
     if not hasattr(held, name):
-        setattr(held, name, SqlBpe(path, pattern))
+        setattr(held, name, SqlBpe(path, pattern, known))
     return getattr(held, name)
 
 
-def _round_trip(path: str, pattern: str, full: bool):
+def _round_trip(path: str, pattern: str, full: bool, known: int, run_bytes: int):
     def run(batches):
         for batch in batches:
-            for t in pieces(batch, "text", 6 << 20):
-                bpe = sql_bpe(path, pattern)
+            for t in pieces(batch, "text", run_bytes):
+                bpe = sql_bpe(path, pattern, known)
                 ids, counts = bpe.cache.encode(t["text"].fill_null("").to_pylist())
                 ends = np.cumsum(counts)
                 digits = list(map(bpe.names.__getitem__, ids.tolist()))
@@ -248,10 +248,11 @@ def _round_trip(path: str, pattern: str, full: bool):
     return run
 
 
-def bpe_round_trip(docs: DataFrame, path: str, pattern: str, full: bool = False) -> DataFrame:
-    """doc_id, n_tokens, ids_sha256, decoded_sha256 (full: also ids and decoded bytes) of every row of docs."""
+def bpe_round_trip(docs: DataFrame, path: str, pattern: str, full: bool = False, known: int = 1_000_000, run_bytes: int = 6 << 20) -> DataFrame:
+    """doc_id, n_tokens, ids_sha256, decoded_sha256 (full: also ids and decoded bytes) of every row of docs.  A worker remembers the ids of about
+    `known` chunks and takes runs of `run_bytes` text: less of both is less memory and more time."""
     schema = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>, decoded binary" * full
-    return slim(docs).mapInArrow(_round_trip(path, pattern, full), schema)
+    return slim(docs).mapInArrow(_round_trip(path, pattern, full, known, run_bytes), schema)
 
 
 def op6_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
