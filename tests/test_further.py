@@ -112,3 +112,19 @@ def test_oracle(spark, sf, duck, name):
     cols = sorted(want.columns)
     assert sorted(got.columns) == cols
     assert rows(got, cols) == rows(want, cols)
+
+
+def test_edge_driven_forms_ship_no_hub(spark):
+    """Two hubs with 400 leaves each: whole runs of all pairs' ends would be some 320,000 entries, all paths some 160,000 rows."""
+    r = random.Random(21)
+    arcs = [(h, x) if r.random() < 0.7 else (x, h) for h in (3, 200) for x in range(400) if x != h] + [(r.randrange(400), r.randrange(400)) for _ in range(300)]
+    g, deg = G.settled(graph(spark, 410, arcs))
+    want = got16(C.census_scalable(g))
+    for f in (lambda: C.census_edge_driven(g, "join"), lambda: C.census_edge_driven(g, "set"), lambda: C.census_edge_driven(g, "merge", balance="weighted"), lambda: C.census_edge_driven(g, "merge", piece=16)):
+        assert got16(f()) == want
+    shipped = C._both_runs(g, C._out_runs(g, deg)).agg(F.sum(F.size("pu") + F.size("pv"))).first()[0]
+    assert shipped < 10 * g.dyads.count()
+    by = lambda x: sorted(map(tuple, x.collect()))
+    listed = C.connected_triads(g).select("u", "v", C.fold_code(F.col("code")).alias("triad_no"), F.lit(1).cast("long").alias("c"))
+    assert by(C.accumulate(listed, keep_slots=True)) == by(C.accumulate(C.connected_counts(g), keep_slots=True))
+    assert not [j for j in C.connected_counts(g)._jdf.queryExecution().optimizedPlan().toString().split("\n") if "LeftOuter" in j]
