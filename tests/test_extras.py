@@ -102,7 +102,21 @@ def test_graph_store_and_source(spark, mixed, tmp_path):
 
 
 def test_generated_exponent(spark, sf):
-    assert abs(X.digraph_source(spark, sf).collect()[0].mle - 2.5) < 0.15
+    law = X.generated_law(spark, sf)
+    assert law.inputFiles() and abs(law.collect()[0].mle - 2.5) < 0.15
+
+
+def test_type_table_reads_a_table(spark, sf):
+    assert base.QUERIES["type_table"](spark, sf).inputFiles()
+
+
+def test_counts_beyond_64_bits(spark, monkeypatch):
+    arcs = spark.createDataFrame([(1, 2), (2, 3)], "src long, dst long")
+    for n in (5, 9_000_000):
+        got = base._exact(as_digraph(arcs, spark.range(5), sizes=spark.range(1).selectExpr(f"{n}L as n")), C.census_scalable)
+        assert sum(int(r.n_triads) for r in got.collect()) == n * (n - 1) * (n - 2) // 6 and dict(got.dtypes)["n_triads"] == ("bigint" if n == 5 else "decimal(38,0)")
+    monkeypatch.setattr(X.W, "load", lambda s, d, name: s.range(4_000_000))
+    assert {int(r.n_triads) for r in X.QUERIES["triad_total_all"](spark, "").collect()} == {4_000_000 * 3_999_999 * 3_999_998 // 6}
 
 
 def test_crossover_and_event_log(spark, tmp_path):
