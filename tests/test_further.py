@@ -128,3 +128,18 @@ def test_edge_driven_forms_ship_no_hub(spark):
     listed = C.connected_triads(g).select("u", "v", C.fold_code(F.col("code")).alias("triad_no"), F.lit(1).cast("long").alias("c"))
     assert by(C.accumulate(listed, keep_slots=True)) == by(C.accumulate(C.connected_counts(g), keep_slots=True))
     assert not [j for j in C.connected_counts(g)._jdf.queryExecution().optimizedPlan().toString().split("\n") if "LeftOuter" in j]
+
+
+def test_nearest_of_a_block_are_found_at_once():
+    import numpy as np
+    import pyarrow as pa
+
+    r = np.random.default_rng(5)
+    a, b = r.integers(-1, 2, (40, 4)).astype(float), r.integers(-1, 2, (60, 4)).astype(float)
+    batch = pa.RecordBatch.from_pydict({"ia": [list(range(40))], "va": [a.tolist()], "ib": [list(range(30, 90))], "vb": [b.tolist()]})
+    got = list(W._nearest(3)([batch]))
+    assert len(got) == 1
+    unit = lambda m: m / np.maximum(np.linalg.norm(m, axis=1, keepdims=True), 1e-300)
+    cos = np.round(unit(a) @ unit(b).T, 9)
+    want = [(i, 30 + j) for i in range(40) for j in sorted((j for j in range(60) if 30 + j != i), key=lambda j: (-cos[i, j], j))[:3]]
+    assert list(zip(got[0]["src"].to_pylist(), got[0]["dst"].to_pylist(), strict=True)) == want
