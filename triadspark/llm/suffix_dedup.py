@@ -7,7 +7,8 @@ distinct segments, all of them, are then suffix-sorted in two stages: suffixes n
 induced by one scan over the character buckets.  Neighbours in that order with a common prefix of 50 bytes are equal windows, and the
 smallest doc_id of each run decides which of them repeat an earlier document.  Blocks get back one bit a window.
 
-An anchor that very many blocks share would gather its segments in one bucket; its segments go as single windows, dealt by their own hash.
+An anchor with very many different segments would gather them in one bucket; they go as single windows, dealt by their own hash.  Blocks tell how
+many different segments their frequent anchors have, so a string that is everywhere in the same surroundings, once a block, is no such case.
 
 Edge cases: null text is empty.  Texts of under 50 bytes keep everything.  Rows with one doc_id count as one document: none of
 them is earlier.  A null doc_id counts as larger than all others.  Empty tables give no rows; further columns are ignored.  Results keep bytes, which
@@ -20,13 +21,15 @@ import hashlib
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import parts, slim, table
-from .textkernel import GOLD, U, loads, mix, release_encoders, text_bytes
+from .textkernel import GOLD, U, loads, mix, release_encoders, release_memory, text_bytes
 
 GRAM = 24
+FREQUENT = 16  # segments of one anchor in a block from which the block counts the different ones
 LAST = (1 << 63) - 1
 _C = [U(0x9FB21C651E98DF25), U(0xC2B2AE3D27D4EB4F), U(0x165667B19E3779F9)]
 
@@ -197,7 +200,12 @@ def common_prefixes(text: np.ndarray, order: np.ndarray, cap: int) -> np.ndarray
 
 # ---------------------------------------------------------------- exchanges
 
-_ANCHORS = "bucket int, block int, once binary, twice binary"
+_ANCHORS = "bucket int, block int, once binary, twice binary, many binary"
+
+
+def _key(fp: np.ndarray, buckets: int) -> np.ndarray:
+    """Bucket and 32-bit rest of each anchor."""
+    return (((fp >> U(32)) % U(buckets)) << U(32)) | (fp & U(0xFFFFFFFF))
 
 
 def _anchors(width: int, buckets: int):
@@ -205,24 +213,34 @@ def _anchors(width: int, buckets: int):
         release_encoders()
         block, ids, got = t["block"][0].as_py(), doc_ids(t), []
         for row, buf, off in chunked(t):
-            _, _, doc, fp = segments(buf, off, width)
-            got.append((fp, ids[row + doc]))
-        fp, doc = np.concatenate([x[0] for x in got]), np.concatenate([x[1] for x in got])
-        bucket = ((fp >> U(32)) % U(buckets)).astype(U)
-        key = (bucket << U(32)) | (fp & U(0xFFFFFFFF))
+            starts, runs, doc, fp = segments(buf, off, width)
+            got.append((_key(fp, buckets), ids[row + doc], buf, starts, runs))
+        key, doc = np.concatenate([x[0] for x in got]), np.concatenate([x[1] for x in got])
         o = np.argsort(key)
         key, doc = key[o], doc[o]
         if not len(key):
-            return pa.table({"bucket": pa.array([], pa.int32()), "block": pa.array([], pa.int32()), "once": pa.array([], pa.binary()), "twice": pa.array([], pa.binary())})
+            return pa.table({"bucket": pa.array([], pa.int32()), "block": pa.array([], pa.int32()), **{k: pa.array([], pa.binary()) for k in ("once", "twice", "many")}})
         heads = np.flatnonzero(np.concatenate(([True], key[1:] != key[:-1])))
         many = np.maximum.reduceat(doc, heads) != np.minimum.reduceat(doc, heads)
         key = key[heads]
+        often = np.diff(np.append(heads, len(o))) >= FREQUENT
+        which = np.repeat(np.where(often, np.arange(len(heads)), -1), np.diff(np.append(heads, len(o))))
+        of = np.empty(len(o), np.int64)
+        of[o] = which
+        of = np.split(of, np.cumsum([len(x[0]) for x in got])[:-1])
+        told = [(a[a >= 0], content_hash(buf, starts[a >= 0], runs[a >= 0] + width - 1)) for a, (_, _, buf, starts, runs) in zip(of, got, strict=True)]
+        own, h = np.concatenate([x[0] for x in told]), np.concatenate([x[1] for x in told])
+        o = np.lexsort((h, own))
+        own, h = own[o], h[o]
+        different = np.bincount(own[np.concatenate(([True], (own[1:] != own[:-1]) | (h[1:] != h[:-1])))] if len(own) else own, minlength=len(heads)).astype(np.uint32)
+        often = different >= FREQUENT
         b, rest = (key >> U(32)).astype(np.int64), key.astype(np.uint32)
         names = np.unique(b)
         s, e = np.searchsorted(b, names), np.searchsorted(b, names, "right")
         return pa.table({"bucket": pa.array(names, pa.int32()), "block": pa.array(np.full(len(names), block), pa.int32()),
                          "once": pa.array([rest[i:j][~many[i:j]].tobytes() for i, j in zip(s, e, strict=True)], pa.binary()),
-                         "twice": pa.array([rest[i:j][many[i:j]].tobytes() for i, j in zip(s, e, strict=True)], pa.binary())})
+                         "twice": pa.array([rest[i:j][many[i:j]].tobytes() for i, j in zip(s, e, strict=True)], pa.binary()),
+                         "many": pa.array([np.stack((rest[i:j][often[i:j]], different[i:j][often[i:j]])).tobytes() for i, j in zip(s, e, strict=True)], pa.binary())})
 
     return run
 
@@ -230,8 +248,9 @@ def _anchors(width: int, buckets: int):
 _SHARED = "block int, bucket int, shared binary, hot binary"
 
 
-def _shared(hot_blocks: int):
-    """Which anchors of each block several documents have, and which of them are hot."""
+def _shared(hot_blocks: int | None, hot_segments: int):
+    """Which anchors of each block several documents have, and which of them are hot: with more than `hot_segments` segments that differ inside their
+    blocks (fewer than FREQUENT in a block count as one), or in more than `hot_blocks` blocks where that is given."""
 
     def run(t: pa.Table) -> pa.Table:
         rows = [(np.frombuffer(a, np.uint32), np.frombuffer(b, np.uint32)) for a, b in zip(t["once"].to_pylist(), t["twice"].to_pylist(), strict=True)]
@@ -239,7 +258,15 @@ def _shared(hot_blocks: int):
         many = np.unique(np.concatenate([r[1] for r in rows]))
         yes = count > 1
         yes[np.searchsorted(value, many)] = True
-        hot = count > hot_blocks
+        volume = count.astype(np.int64)
+        for x in t["many"].to_pylist():
+            if x:
+                rest, different = np.frombuffer(x, np.uint32).reshape(2, -1)
+                volume[np.searchsorted(value, rest)] += different - 1  # an anchor is there once a row
+        hot = volume > hot_segments
+        if hot_blocks is not None:
+            hot |= count > hot_blocks
+        hot &= yes
         out_s, out_h = [], []
         for r in rows:
             x = np.concatenate(r)
@@ -270,9 +297,10 @@ _SEGMENTS = "bucket int, block int, hot boolean, fps binary, docs binary, lens b
 
 
 def _cut(width: int, buckets: int):
-    """The distinct segments of a block that have a shared anchor, each with its smallest document."""
+    """The distinct segments of a block that have a shared anchor, each with its smallest document; hot null: the block's hot anchors themselves."""
 
     def run(docs: pa.Table, marks: pa.Table) -> pa.Table:
+        release_memory()
         out: dict[str, list] = {k: [] for k in ("bucket", "block", "hot", "fps", "docs", "lens", "body")}
         if docs.num_rows and marks.num_rows:
             block, ids = docs["block"][0].as_py(), doc_ids(docs)
@@ -280,14 +308,14 @@ def _cut(width: int, buckets: int):
                 got = []
                 for row, buf, off in chunked(docs) if len(wanted) else ():
                     starts, runs, doc, fp = segments(buf, off, width)
-                    key = (((fp >> U(32)) % U(buckets)) << U(32)) | (fp & U(0xFFFFFFFF))
+                    key = _key(fp, buckets)
                     sel = np.flatnonzero(_has(wanted, key))
                     starts, runs, doc, key = starts[sel], runs[sel], doc[sel], key[sel]
                     if hot:
                         starts, seg = _windows(starts, runs)
                         runs, doc = np.ones(len(starts), np.int64), doc[seg]
                         h = content_hash(buf, starts, np.full(len(starts), width))
-                        key = (((h >> U(32)) % U(buckets)) << U(32)) | (h & U(0xFFFFFFFF))
+                        key = _key(h, buckets)
                     else:
                         h = content_hash(buf, starts, runs + width - 1)
                     o = np.lexsort((ids[row + doc], h))
@@ -297,6 +325,9 @@ def _cut(width: int, buckets: int):
                     got.append((h[o], key[o], ids[row + doc[o]], lens, buf[at]))
                 if not got:
                     continue
+                if hot:
+                    for k, v in zip(out, (block % buckets, block, None, wanted.tobytes(), b"", b"", b""), strict=True):
+                        out[k].append(v)
                 h, key, doc, lens, body = (np.concatenate([g[i] for g in got]) for i in range(5))
                 ends = np.cumsum(lens.astype(np.int64))
                 o = np.lexsort((doc, h, key))
@@ -318,9 +349,15 @@ _MARKS = "block int, hot boolean, hashes binary, masks binary"
 
 
 def _judge(width: int, piece: int = 4 << 20):
-    """Which windows of each block's segments a smaller document has: one bit a window."""
+    """Which windows of each block's segments a smaller document has: one bit a window.  Blocks' hot anchors (hot null) pass through."""
 
     def run(t: pa.Table) -> pa.Table:
+        release_memory()
+        notes = t.filter(pc.is_null(t["hot"]))
+        notes = pa.table({"block": notes["block"], "hot": notes["hot"], "hashes": notes["fps"], "masks": notes["body"]})
+        t = t.filter(pc.is_valid(t["hot"]))
+        if not t.num_rows:
+            return notes
         lens_of = [np.frombuffer(x, np.uint8).astype(np.int64) for x in t["lens"].to_pylist()]
         rows = np.repeat(np.arange(t.num_rows), [len(x) for x in lens_of])
         lens = np.concatenate(lens_of)
@@ -382,38 +419,48 @@ def _judge(width: int, piece: int = 4 << 20):
             yes = np.flatnonzero(mask[a:b]) + a
             out_h.append(h[yes].tobytes())
             out_m.append(mask[yes].tobytes())
-        return pa.table({"block": t["block"].combine_chunks(), "hot": t["hot"].combine_chunks(), "hashes": pa.array(out_h, pa.binary()), "masks": pa.array(out_m, pa.binary())})
+        told = pa.table({"block": t["block"], "hot": t["hot"], "hashes": pa.array(out_h, pa.binary()), "masks": pa.array(out_m, pa.binary())})
+        return pa.concat_tables([told, notes.cast(told.schema)]).combine_chunks()
 
     return run
 
 
-def _apply(width: int, with_text: bool, carry: list[str]):
+def _least(h: np.ndarray, doc: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct hashes and the smallest document of each."""
+    o = np.lexsort((doc, h))
+    heads = np.concatenate(([True], h[o][1:] != h[o][:-1])) if len(o) else np.zeros(0, bool)
+    return h[o][heads], doc[o][heads]
+
+
+def _apply(width: int, buckets: int, with_text: bool, carry: list[str]):
     """Covered bytes of every document of a block, and what is left."""
 
     def run(docs: pa.Table, marks: pa.Table) -> pa.Table:
+        release_memory()
         ids = doc_ids(docs)
         seen: dict[str, list] = {k: [] for k in ("n_bytes", "n_removed", "n_spans", "kept")}
-        hot = marks["hot"].to_numpy() if marks.num_rows else np.zeros(0, bool)
+        kinds = marks["hot"].to_pylist() if marks.num_rows else []
         tell = {}
-        for kind in (False, True):
-            pick = np.flatnonzero(hot == kind)
-            h = np.concatenate([np.frombuffer(marks["hashes"][int(i)].as_py(), U) for i in pick]) if len(pick) else np.zeros(0, U)
-            m = np.concatenate([np.frombuffer(marks["masks"][int(i)].as_py(), np.uint32) for i in pick]) if len(pick) else np.zeros(0, np.uint32)
+        for kind in (False, True, None):
+            pick = [i for i, x in enumerate(kinds) if x is kind]
+            h = np.concatenate([np.frombuffer(marks["hashes"][i].as_py(), U) for i in pick]) if pick else np.zeros(0, U)
+            m = np.concatenate([np.frombuffer(marks["masks"][i].as_py(), np.uint32) for i in pick]) if pick and kind is not None else np.zeros(len(h), np.uint32)
             o = np.argsort(h)
             tell[kind] = (h[o], m[o])
         # smallest document of each distinct segment and (hot) window inside the block
-        cuts, held = [], []
+        cuts, none = [], np.zeros(0, np.int64)
         for row, buf, off in chunked(docs):
             starts, runs, doc, fp = segments(buf, off, width)
             h = content_hash(buf, starts, runs + width - 1)
-            cuts.append((row, buf, off, starts, runs, doc, h))
-            held.append((h, ids[row + doc]))
-        h = np.concatenate([x[0] for x in held]) if held else np.zeros(0, U)
-        d = np.concatenate([x[1] for x in held]) if held else np.zeros(0, np.int64)
-        o = np.lexsort((d, h))
-        heads = np.concatenate(([True], h[o][1:] != h[o][:-1])) if len(o) else np.zeros(0, bool)
-        uniq, least = h[o][heads], d[o][heads]
-        for row, buf, off, starts, runs, doc, h in cuts:
+            win, own, wh = none, none, none.astype(U)
+            if len(tell[None][0]):  # hot anchors: windows one by one
+                sel = np.flatnonzero(_has(tell[None][0], _key(fp, buckets)))
+                win, seg = _windows(starts[sel], runs[sel])
+                own, wh = ids[row + doc[sel]][seg], content_hash(buf, win, np.full(len(win), width))
+            cuts.append((row, buf, off, starts, runs, doc, h, win, own, wh))
+        uniq, least = _least(np.concatenate([c[6] for c in cuts]), np.concatenate([ids[c[0] + c[5]] for c in cuts])) if cuts else (none.astype(U), none)
+        hot_uniq, hot_least = _least(np.concatenate([c[9] for c in cuts]), np.concatenate([c[8] for c in cuts])) if cuts else (none.astype(U), none)
+        for row, buf, off, starts, runs, doc, h, hot_win, hot_own, wh in cuts:
             mine = ids[row + doc]
             whole = least[np.searchsorted(uniq, h)] < mine
             hh, mm = tell[False]
@@ -425,15 +472,8 @@ def _apply(width: int, with_text: bool, carry: list[str]):
             win, seg = _windows(starts[busy], runs[busy])
             order = win - starts[busy][seg]
             covered = [win[whole[busy][seg] | ((mask[busy][seg] >> order.astype(np.uint32)) & 1).astype(bool)]]
-            hh, _ = tell[True]
-            if marks.num_rows and hot.any():  # hot anchors: windows one by one
-                win, seg = _windows(starts, runs)
-                wh = content_hash(buf, win, np.full(len(win), width))
-                covered.append(win[_has(hh, wh)])
-                o = np.lexsort((mine[seg], wh))
-                first = np.flatnonzero(np.concatenate(([True], wh[o][1:] != wh[o][:-1]))) if len(o) else np.zeros(0, np.int64)
-                low = np.repeat(np.minimum.reduceat(mine[seg][o], first), np.diff(np.append(first, len(o)))) if len(o) else np.zeros(0, np.int64)
-                covered.append(win[o][low < mine[seg][o]])
+            if len(wh):
+                covered.append(hot_win[_has(tell[True][0], wh) | (hot_least[np.searchsorted(hot_uniq, wh)] < hot_own)])
             c = np.unique(np.concatenate(covered))
             delta = np.zeros(int(off[-1]) + 1, np.int32)
             delta[c] += 1
@@ -463,11 +503,13 @@ def _apply(width: int, with_text: bool, carry: list[str]):
 
 # ---------------------------------------------------------------- the operator
 
-def suffix_dedup(docs: DataFrame, width: int = 50, with_text: bool = False, block_bytes: int = 2 << 20, hot_blocks: int = 256, carry: list[str] | None = None) -> DataFrame:
+def suffix_dedup(docs: DataFrame, width: int = 50, with_text: bool = False, block_bytes: int = 2 << 20, hot_blocks: int | None = None, hot_segments: int = 1 << 15,
+                 carry: list[str] | None = None) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 (and kept: the bytes left; kept_text: their whole characters) of every row of docs,
     and string columns of docs to carry along.
 
-    width: bytes of a string that counts as repeated, from GRAM+1 to GRAM+32."""
+    width: bytes of a string that counts as repeated, from GRAM+1 to GRAM+32.  hot_segments: different segments of an anchor from which they go as
+    single windows; hot_blocks: blocks from which they do as well, where given."""
     if not GRAM < width <= GRAM + 31:
         raise ValueError("width out of range")
     carry = carry or []
@@ -475,11 +517,11 @@ def suffix_dedup(docs: DataFrame, width: int = 50, with_text: bool = False, bloc
     n = parts(docs, block_bytes)
     # rows without doc_id are one document, but need not be one block
     blocks = docs.withColumn("block", F.pmod(F.xxhash64(F.coalesce("doc_id", F.xxhash64("text"))), F.lit(n)).cast("int")).repartition(max(1, n // 3), "block")
-    marks = blocks.groupBy("block").applyInArrow(_anchors(width, n), _ANCHORS).groupBy("bucket").applyInArrow(_shared(hot_blocks), _SHARED)
+    marks = blocks.groupBy("block").applyInArrow(_anchors(width, n), _ANCHORS).groupBy("bucket").applyInArrow(_shared(hot_blocks, hot_segments), _SHARED)
     cut = blocks.groupBy("block").cogroup(marks.groupBy("block")).applyInArrow(_cut(width, n), _SEGMENTS)
     told = cut.groupBy("bucket").applyInArrow(_judge(width), _MARKS)
     out = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", kept binary, kept_text string" * with_text + "".join(f", {c} string" for c in carry)
-    return blocks.groupBy("block").cogroup(told.groupBy("block")).applyInArrow(_apply(width, with_text, carry), out)
+    return blocks.groupBy("block").cogroup(told.groupBy("block")).applyInArrow(_apply(width, n, with_text, carry), out)
 
 
 def op2_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
