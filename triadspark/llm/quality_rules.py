@@ -118,7 +118,7 @@ _MEASURED = "doc_id long, lang_no int, " + ", ".join(f"{c} long" for c in _COUNT
 def _measured(batches):
     release_encoders()
     for batch in batches:
-        for t in pieces(batch, "text"):
+        for t in pieces(batch, "text", 1 << 19):  # its counts take some 60 bytes of memory a byte
             lang = np.array([LANGS.index(x) if x in COMMON else len(LANGS) - 1 for x in t["lang"].to_pylist()], np.int64)
             m = measure(t["text"], lang)
             rows = lambda x: pa.ListArray.from_arrays(pa.array(np.arange(len(x) + 1) * x.shape[1], pa.int32()), pa.array(x.ravel()))
