@@ -27,7 +27,7 @@ def _lengths(path: str):
         for batch in batches:
             for t in pieces(batch, "text"):
                 cache = library_cache(path)
-                chunk, counts = cache.chunks(t["text"].fill_null("").to_pylist())
+                chunk, counts = cache.chunks(t["text"])
                 sums = np.concatenate(([0], np.cumsum(cache.size[chunk])))
                 ends = np.cumsum(counts)
                 for k, n in zip(*np.unique(sums[ends] - sums[ends - counts], return_counts=True), strict=True):

@@ -89,7 +89,7 @@ def _encode(path: str, end_id: int | None, segment_bytes: int):
         part, seq = TaskContext.get().partitionId(), 0
         for batch in batches:
             for t in pieces(batch, "text", segment_bytes):
-                ids, counts = library_cache(path).encode(t["text"].fill_null("").to_pylist(), end_id)
+                ids, counts = library_cache(path).encode(t["text"], end_id)
                 levels = pack_levels(ids)
                 yield pa.RecordBatch.from_arrays(
                     [pa.array([part], pa.int32()), pa.array([seq], pa.int32()), pa.array([len(ids)], pa.int64()), pa.array([t["doc_id"].to_pylist()], pa.list_(pa.int64())), pa.array([counts.astype("<i8").tobytes()], pa.binary()),
