@@ -120,3 +120,43 @@ def test_word_census_reads_all_documents(spark, sf):
     n = len(names)
     assert sum(got.values()) == n * (n - 1) * (n - 2) // 6
     assert sum(got[x] for x in ("030T", "030C", "120D", "120U", "120C", "210", "300")) == closed and got["300"] == mutual
+
+
+def test_words_write_pairs_once_and_leave_no_step_behind(spark, sf):
+    from triadspark.operators import census as C
+    from triadspark.operators import graph as G
+    from triadspark.operators import keep as K
+    from triadspark.sources import workloads as W
+
+    K.clear_kept(spark)
+    g = W.word_graph(spark, sf)
+    assert sum("/dyads-" in p for p in K._KEPT) == 1  # not those under words, nor those half renamed
+    assert C.planned_method(g) and G.settled(g)[0] is g
+    assert sum("/dyads-" in p for p in K._KEPT) == 1
+    t = spark.createDataFrame([("b", "a"), ("a", "b"), ("c", "a"), ("b", "d")], "src string, dst string")
+    x, names = W.named_graph(t, steps=True)
+    y, same = W.named_graph(t)
+    assert sorted(map(tuple, x.dyads.collect())) == sorted(map(tuple, y.dyads.collect())) == [(0, 1, 3), (0, 2, 2), (1, 3, 1)]
+    assert sorted(map(tuple, names.collect())) == sorted(map(tuple, same.collect())) == [("a", 0), ("b", 1), ("c", 2), ("d", 3)]
+
+
+def test_colour_blocks_ship_a_pair_once_a_round(spark, monkeypatch):
+    from triadspark.operators import blocks as B
+    from triadspark.operators import census as C
+    from triadspark.operators.graph import as_digraph
+
+    n = 120  # a complete graph: (n - 2) / 3 wedges from the lesser end a pair
+    g = as_digraph(spark.range(n).toDF("src").crossJoin(spark.range(n).toDF("dst")).where("src < dst"))
+    assert C.planned_method(g, least_n=n + 1) == "colour_blocks"
+    seen = []
+    whole = type(spark.range(1)).groupBy
+
+    def noted(self, *by):
+        if by == ("c1", "c2", "c3"):
+            seen.append(self.count())
+        return whole(self, *by)
+
+    monkeypatch.setattr(type(spark.range(1)), "groupBy", noted)
+    got = {r.no: r.c for r in B.colour_counts(g, 4).collect()}
+    assert got == {9: n * (n - 1) * (n - 2) // 6}
+    assert seen == [n * (n - 1) // 2] * 4
